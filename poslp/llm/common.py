@@ -51,3 +51,8 @@ def words(text: Column) -> Column:
 
 def lines(text: Column) -> Column:
     return F.split(F.coalesce(text, F.lit("")), "\n", -1)
+
+
+def let(value: Column, body) -> Column:
+    """body(value) with the value worked out once a row, also where body uses it inside lambdas."""
+    return F.element_at(F.transform(F.array(value), body), 1)
