@@ -7,6 +7,7 @@ from importlib import import_module
 _QUERIES = {
     "op4_line_dedup": "line_dedup",
     "op7_quality_rules": "quality_rules",
+    "op10_simhash": "simhash",
 }
 
 
