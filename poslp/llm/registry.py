@@ -5,6 +5,7 @@ from __future__ import annotations
 from importlib import import_module
 
 _QUERIES = {
+    "op3_packing": "packing",
     "op4_line_dedup": "line_dedup",
     "op7_quality_rules": "quality_rules",
     "op10_simhash": "simhash",
