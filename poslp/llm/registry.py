@@ -7,7 +7,9 @@ from importlib import import_module
 _QUERIES = {
     "op3_packing": "packing",
     "op4_line_dedup": "line_dedup",
+    "op5_mixing": "mixing",
     "op7_quality_rules": "quality_rules",
+    "op9_token_blocks": "token_blocks",
     "op10_simhash": "simhash",
 }
 
