@@ -5,6 +5,7 @@ from __future__ import annotations
 from importlib import import_module
 
 _QUERIES = {
+    "op1_nn_descent": "nn_descent",
     "op3_packing": "packing",
     "op4_line_dedup": "line_dedup",
     "op5_mixing": "mixing",
