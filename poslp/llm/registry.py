@@ -6,10 +6,12 @@ from importlib import import_module
 
 _QUERIES = {
     "op1_nn_descent": "nn_descent",
+    "op2_secret_scan": "secret_scan",
     "op3_packing": "packing",
     "op4_line_dedup": "line_dedup",
     "op5_mixing": "mixing",
     "op7_quality_rules": "quality_rules",
+    "op8_chat_format": "chat_format",
     "op9_token_blocks": "token_blocks",
     "op10_simhash": "simhash",
 }
