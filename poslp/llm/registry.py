@@ -10,6 +10,7 @@ _QUERIES = {
     "op3_packing": "packing",
     "op4_line_dedup": "line_dedup",
     "op5_mixing": "mixing",
+    "op6_suffix_dedup": "suffix_dedup",
     "op7_quality_rules": "quality_rules",
     "op8_chat_format": "chat_format",
     "op9_token_blocks": "token_blocks",
