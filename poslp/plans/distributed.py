@@ -30,7 +30,7 @@ class Side:
 
 
 class SparkBackend:
-    def __init__(self, variables: DataFrame, packing: Side, covering: Side, column_max: float | str = 1.0, checkpoint_every: int = 5):
+    def __init__(self, variables: DataFrame, packing: Side, covering: Side, column_max: float | str = 1.0, checkpoint_every: int = 1):
         """variables: the frame with ``var``; column_max: the largest packing entry of a variable, or its column."""
         self.variables, self.sides = variables, (packing, covering)
         self.n = variables.count()
