@@ -24,8 +24,14 @@ from poslp.llm.common import WORD, let, lines, materialise, table, words
 
 LANGUAGES = 256
 COMMON = 24
-#: The character classes of the histogram.
-CLASSES = {"lower": "[a-z]", "upper": "[A-Z]", "digit": "[0-9]", "blank": "[\\x20\\x09-\\x0D]", "stop": "[.,;:!?'\"()-]", "symbol": "[\\x21-\\x7E&&[^a-zA-Z0-9.,;:!?'\"()-]]"}
+#: The characters counted as symbols by the contract, and the stops of the class histogram.
+SYMBOLS = "#*$%&|<>"
+STOPS = ".,;:!?'\"()-"
+#: lower-case and upper-case letters, digits, white space, stops, other ASCII, all else
+CLASSES = 7
+#: Repeated windows up to which their places are looked up one by one, beyond which all windows are sorted.
+FEW = 48
+COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 #: Thresholds, set on the labelled documents so that clean ones stay far below them.
 #: Documents further than this from the first class reference don't count in the second, final one.
 TRIM = 0.2
@@ -35,34 +41,52 @@ MIN_CHARS = 200
 MIN_WORDS = 50
 
 
-def _count(text: Column, pattern: str) -> Column:
-    return F.regexp_count(text, F.lit(pattern)).cast("long")
+def _without(text: str, pattern: str) -> Column:
+    return F.regexp_replace(text, F.lit(pattern), F.lit(""))
 
 
-def _repeats(found: Column) -> Column:
-    """Words covered by three-word windows that occur twice or more, from the sorted (hash, position) of all windows."""
-    n = F.size(found)
-    at = F.transform(F.sequence(F.lit(0), n - 3), lambda i: F.struct(F.xxhash64(F.get(found, i), F.get(found, i + 1), F.get(found, i + 2)).alias("h"), i.alias("i")))
+def _lost(longer: Column | str, shorter: Column | str) -> Column:
+    return (F.length(longer) - F.length(shorter)).cast("long")
 
-    def covered(places: Column) -> Column:
-        return F.aggregate(F.transform(places, lambda p, k: F.coalesce(F.least(F.lit(3), F.get(places, k + 1) - p), F.lit(3))), F.lit(0), lambda a, x: a + x)
 
-    def twice(by_hash: Column) -> Column:
-        same = lambda x, k: F.coalesce(F.get(by_hash, k)["h"] == x["h"], F.lit(False))
-        return F.sort_array(F.transform(F.filter(by_hash, lambda x, k: same(x, k - 1) | same(x, k + 1)), lambda x: x["i"]))
+def _covered(places: Column) -> Column:
+    """Words covered by the three-word windows that begin at the places, which are in order."""
+    return F.aggregate(F.transform(places, lambda p, k: F.coalesce(F.least(F.lit(3), F.get(places, k + 1) - p), F.lit(3))), F.lit(0), lambda a, x: a + x)
 
-    return F.when(n >= 3, let(F.sort_array(at), lambda by_hash: let(twice(by_hash), covered))).otherwise(0).cast("long")
 
+def _places(hashes: Column, twice: Column) -> Column:
+    """Where the hashes that occur twice or more stand."""
+    some = F.filter(F.transform(hashes, lambda h, k: F.when(F.array_contains(twice, h), k)), lambda x: x.isNotNull())
 
-def base_counts(text: Column) -> dict[str, Column]:
-    with_word = F.filter(lines(text), lambda x: x.rlike(WORD))
-    return {
-        "n_words": F.size("_words").cast("long"),
-        "word_chars": F.length(F.array_join("_words", "")).cast("long"),
-        "n_symbols": _count(F.coalesce(text, F.lit("")), "[#*$%&|<>]"),
-        "n_dup_lines": (F.size(with_word) - F.size(F.array_distinct(with_word))).cast("long"),
-        "n_repeat_words": _repeats(F.col("_words")),
-    }
+    def sorted_(pairs: Column) -> Column:
+        same = lambda x, k: F.coalesce(F.get(pairs, k)["h"] == x["h"], F.lit(False))
+        return F.sort_array(F.transform(F.filter(pairs, lambda x, k: same(x, k - 1) | same(x, k + 1)), lambda x: x["i"]))
+
+    many = let(F.sort_array(F.transform(hashes, lambda h, k: F.struct(h.alias("h"), k.alias("i")))), sorted_)
+    return F.when(F.size(twice) == 0, F.array().cast("array<int>")).when(F.size(twice) <= FEW, some).otherwise(many)
+
+
+def with_counts(docs: DataFrame, text_col: str = "text") -> DataFrame:
+    """Adds the base counts, _chars, _classes and _words. Each step is a projection of its own, so that the sorts of
+    plain arrays run as generated code and nothing is worked out twice."""
+    docs = docs.withColumn("_text", F.coalesce(F.col(text_col), F.lit("")))
+    docs = docs.withColumns({"_words": words(F.col("_text")), "_rest": _without("_text", "[a-z]+"), "_full": F.filter(lines(F.col("_text")), lambda x: x.rlike(WORD))})
+    w = F.col("_words")
+    windows = F.transform(F.sequence(F.lit(0), F.size(w) - 3), lambda i: F.xxhash64(F.get(w, i), F.get(w, i + 1), F.get(w, i + 2)))
+    docs = docs.withColumns({"_hash": F.when(F.size(w) >= 3, windows).otherwise(F.array().cast("array<bigint>")), "_dense": _without("_rest", "[\\x20\\x09-\\x0D]+")})
+    docs = docs.withColumn("_ordered", F.sort_array("_hash"))
+    docs = docs.withColumn("_twice", F.filter("_ordered", lambda h, k: F.coalesce(F.get(F.col("_ordered"), k - 1) == h, F.lit(False))))
+    docs = docs.withColumn("_twice", F.array_distinct("_twice"))
+    docs = docs.withColumn("_places", _places(F.col("_hash"), F.col("_twice")))
+    dense, rest = F.col("_dense"), F.col("_rest")
+    seen = [_lost("_text", rest), _lost(dense, _without("_dense", "[A-Z]+")), _lost(dense, _without("_dense", "[0-9]+")), _lost(rest, dense), _lost(dense, F.translate(dense, STOPS, ""))]
+    ascii_ = _lost(dense, _without("_dense", "[\\x00-\\x7F]+"))
+    docs = docs.withColumns({
+        "n_words": F.size("_words").cast("long"), "word_chars": F.length("_text").cast("long") - _lost(rest, dense), "n_symbols": _lost(dense, F.translate(dense, SYMBOLS, "")),
+        "n_dup_lines": (F.size("_full") - F.size(F.array_distinct("_full"))).cast("long"), "n_repeat_words": _covered(F.col("_places")).cast("long"),
+        "_chars": F.length("_text").cast("long"), "_classes": F.array(*seen, ascii_ - seen[1] - seen[2] - seen[4], F.length(dense).cast("long") - ascii_),
+    })
+    return docs.drop("_text", "_rest", "_full", "_hash", "_dense", "_ordered", "_twice", "_places")
 
 
 def _lang(lang: Column) -> Column:
@@ -83,23 +107,21 @@ def common_words(docs: DataFrame) -> DataFrame:
     out = ranked.groupBy("_lang").agg(F.array_sort(F.collect_list(F.struct("_r", "_w", "_n"))).alias("_top")).join(F.broadcast(totals.withColumnRenamed("_lang", "_l2")), F.col("_lang").eqNullSafe(F.col("_l2")))
     usual = F.transform("_top", lambda x: x["_n"])
     rest = F.col("_all") - F.aggregate(usual, F.lit(0).cast("long"), lambda a, x: a + x)
-    return out.select("_lang", F.map_from_entries(F.transform("_top", lambda x: F.struct(x["_w"], x["_r"].cast("int")))).alias("_common"), F.array_append(usual, rest).alias("_usual"))
-
-
-def _tally(ranks: Column, n: int) -> Column:
-    """How often each of 1..n+1 stands in an array of such numbers."""
-
-    def runs(ordered: Column) -> Column:
-        ends = F.transform(ordered, lambda x, k: F.when(F.coalesce(F.get(ordered, k + 1) != x, F.lit(True)), F.struct(x.alias("v"), (k + 1).alias("end"))))
-        return F.filter(ends, lambda x: x.isNotNull())
-
-    def counts(ends: Column) -> Column:
-        return F.map_from_entries(F.transform(ends, lambda x, k: F.struct(x["v"], x["end"] - F.coalesce(F.get(ends, k - 1)["end"], F.lit(0)))))
+    return out.select("_lang", F.transform("_top", lambda x: x["_w"]).alias("_common"), F.array_append(usual, rest).alias("_usual"))
 
-    def dense(found: Column) -> Column:
-        return F.transform(F.sequence(F.lit(1), F.lit(n + 1)), lambda i: F.coalesce(F.try_element_at(found, i), F.lit(0)).cast("long"))
 
-    return let(F.sort_array(ranks), lambda ordered: let(runs(ordered), lambda ends: let(counts(ends), dense)))
+def with_tally(docs: DataFrame) -> DataFrame:
+    """Adds _tally: how often each word of the array _common stands in _words, then how many words are none of them."""
+    common = F.col("_common")
+    docs = docs.withColumn("_rank", F.transform("_words", lambda w: F.coalesce(F.nullif(F.array_position(common, w), F.lit(0)), F.lit(COMMON + 1)).cast("int")))
+    docs = docs.withColumn("_rank", F.sort_array("_rank"))
+    rank = F.col("_rank")
+    ends = F.transform("_rank", lambda x, k: F.when(F.coalesce(F.get(rank, k + 1) != x, F.lit(True)), k + 1))
+    docs = docs.withColumn("_ends", F.filter(ends, lambda x: x.isNotNull()))
+    end = F.col("_ends")
+    runs = F.transform("_ends", lambda e, k: F.struct(F.get(rank, e - 1), (e - F.coalesce(F.get(end, k - 1), F.lit(0))).cast("long")))
+    docs = docs.withColumn("_runs", F.map_from_entries(runs))
+    return docs.withColumn("_tally", F.array(*[F.coalesce(F.try_element_at("_runs", F.lit(i)), F.lit(0).cast("long")) for i in range(1, COMMON + 2)])).drop("_rank", "_ends", "_runs")
 
 
 def js_distance(p: Column, q: Column) -> Column:
@@ -110,33 +132,31 @@ def js_distance(p: Column, q: Column) -> Column:
     return F.sqrt(F.greatest(F.lit(0.0), total(F.zip_with(share(p), share(q), lambda x, y: (half(x, y) + half(y, x)) / 2))))
 
 
-def measure(docs: DataFrame) -> DataFrame:
-    """Per row: doc_id, the base counts, and the distances _class_js and _word_js to the language's reference."""
-    docs = docs.select("doc_id", "text", "lang")
+def measure(docs: DataFrame, carry: list[str] | None = None) -> DataFrame:
+    """Per row: doc_id, the base counts, the distances _class_js and _word_js to the language's reference, and _row,
+    a struct of the columns to carry, which are written with the counts so that no join has to find them again."""
+    row = F.struct(*[F.col(f"`{c}`") for c in carry or ["doc_id"]]).alias("_row")
+    docs = docs.select("doc_id", "text", "lang", row)
     refs = materialise(common_words(docs), "common-words")
     own = refs.where(F.col("_lang").isNotNull()).withColumnRenamed("_lang", "_ref")
     pooled = refs.where(F.col("_lang").isNull()).select(F.col("_common").alias("_c0"), F.col("_usual").alias("_u0"))
     # at most LANGUAGES + 1 rows of COMMON words each
     out = docs.join(F.broadcast(own), _lang(F.col("lang")) == F.col("_ref"), "left").join(F.broadcast(pooled), F.lit(True), "left")
-    text = F.coalesce("text", F.lit(""))
-    classes = [_count(text, p) for p in CLASSES.values()]
-    out = out.withColumns({"_words": words(F.col("text")), "_common": F.coalesce("_common", "_c0"), "_usual": F.coalesce("_usual", "_u0")})
-    ranks = F.transform("_words", lambda w: F.coalesce(F.try_element_at("_common", w), F.lit(COMMON + 1)))
-    rows = out.select("doc_id", "_ref", *[c.alias(n) for n, c in base_counts(F.col("text")).items()], F.length(text).cast("long").alias("_chars"), F.array(*classes).alias("_seen"), _tally(ranks, COMMON).alias("_tally"), F.transform(F.sequence(F.lit(1), F.lit(COMMON + 1)), lambda i: F.coalesce(F.get("_usual", i - 1), F.lit(0)).cast("long")).alias("_usual"))
-    rows = rows.withColumn("_classes", F.concat("_seen", F.array(F.col("_chars") - F.aggregate("_seen", F.lit(0).cast("long"), lambda a, x: a + x))))
-    rows = materialise(rows.drop("_seen"), "text-measures")
+    out = out.withColumns({"_common": F.coalesce("_common", "_c0"), "_usual": F.coalesce("_usual", "_u0")})
+    out = with_tally(with_counts(out.select("doc_id", "text", "_row", "_ref", "_common", "_usual")))
+    padded = F.transform(F.sequence(F.lit(1), F.lit(COMMON + 1)), lambda i: F.coalesce(F.get(F.col("_usual"), F.when(i <= COMMON, F.when(i < F.size("_usual"), i - 1).otherwise(-1)).otherwise(F.size("_usual") - 1)), F.lit(0)).cast("long"))
+    rows = materialise(out.select("doc_id", "_row", "_ref", *COUNTS, "_chars", "_classes", "_tally", padded.alias("_usual")), "text-measures")
     first = _against(rows, rows)
     return _against(rows, first.where(F.coalesce("_class_js", F.lit(0.0)) <= TRIM))
 
 
 def _against(rows: DataFrame, usual: DataFrame) -> DataFrame:
     """The distances of rows to the class sums of the usual rows, by reference."""
-    sums = F.array(*[F.sum(F.col("_classes")[i]) for i in range(len(CLASSES) + 1)]).alias("_normal")
+    sums = F.array(*[F.sum(F.col("_classes")[i]) for i in range(CLASSES)]).alias("_normal")
     own = usual.where(F.col("_ref").isNotNull()).groupBy("_ref").agg(sums).withColumnRenamed("_ref", "_r")
     every = usual.agg(sums).withColumnRenamed("_normal", "_n0")
     out = rows.join(F.broadcast(own), F.col("_ref") == F.col("_r"), "left").join(F.broadcast(every), F.lit(True), "left")
-    keep = ["doc_id", "_ref", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "_chars", "_classes", "_tally", "_usual"]
-    return out.select(*keep, js_distance(F.col("_classes"), F.coalesce("_normal", "_n0")).alias("_class_js"), js_distance(F.col("_tally"), F.col("_usual")).alias("_word_js"))
+    return out.select("doc_id", "_row", "_ref", *COUNTS, "_chars", "_classes", "_tally", "_usual", js_distance(F.col("_classes"), F.coalesce("_normal", "_n0")).alias("_class_js"), js_distance(F.col("_tally"), F.col("_usual")).alias("_word_js"))
 
 
 def judge(measured: DataFrame, max_class: float = MAX_CLASS_DISTANCE, max_word: float = MAX_WORD_DISTANCE, min_chars: int = MIN_CHARS, min_words: int = MIN_WORDS) -> DataFrame:
