@@ -15,12 +15,14 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
+    from poslp import queries_more  # noqa: F401  registers its queries
     from poslp.queries import QUERIES
 
     return dict(QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
+    from poslp import queries_more  # noqa: F401
     from poslp.queries import SQL
 
     return dict(SQL)
