@@ -17,6 +17,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -27,13 +28,14 @@ from poslp.llm.tokens import END_ID, document_ids, encoder
 
 WINDOW = 2048
 BLOCK = "sequence_id long, n_tokens long, cu_seqlens array<int>, doc_ids array<long>, starts array<long>, ids binary"
+DIGEST = ", ids_crc32 long, positions_crc32 long"
 
 
 def _cut(window: int, vocabulary: str | None, width: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encode = encoder(vocabulary)
+        encode, squeeze = encoder(vocabulary), zstandard.ZstdCompressor(level=1)
         uid = TaskContext.get().partitionId() << 33
-        for batch in batches:
+        for batch in _slices(batches, 512):
             doc, start, length, raw = [], [], [], []
             for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1)):
                 ids = document_ids(text.as_py(), encode).astype(width)
@@ -42,28 +44,49 @@ def _cut(window: int, vocabulary: str | None, width: str):
                     doc.append(doc_id)
                     start.append(s)
                     length.append(len(part))
-                    raw.append(part.tobytes())
+                    raw.append(squeeze.compress(part.tobytes()))
             n, uid = uid, uid + len(doc)
             yield pa.RecordBatch.from_arrays([pa.array(np.arange(n, uid)), pa.array(doc, pa.int64()), pa.array(start, pa.int64()), pa.array(length, pa.int64()), pa.array(raw, pa.binary())], names=["uid", "doc_id", "start", "length", "ids"])
 
     return run
 
 
-def _assemble(window: int, width: str):
-    """Rows ordered by (sequence_id, offset) to one row a sequence; ids padded with the ending id to the window."""
-    pad = np.full(window, END_ID, dtype=width).tobytes()
+def _slices(batches: Iterator[pa.RecordBatch], rows: int) -> Iterator[pa.RecordBatch]:
+    """The same rows in smaller batches, so that a worker holds little at a time."""
+    for batch in batches:
+        for s in range(0, batch.num_rows, rows):
+            yield batch.slice(s, rows)
 
-    def row(parts: list) -> tuple:
-        ends = np.cumsum([0, *(p[4] for p in parts)])
-        raw = b"".join(p[5] for p in parts)
-        return parts[0][0], int(ends[-1]), ends.tolist(), [p[2] for p in parts], [p[3] for p in parts], raw + pad[len(raw) :]
+
+def positions(cu: np.ndarray, window: int) -> np.ndarray:
+    """Positions of a sequence: from 0 in each segment, and in the padding."""
+    begin = np.r_[cu, window] if cu[-1] < window else cu
+    return np.arange(window) - np.repeat(begin[:-1], np.diff(begin))
+
+
+def _assemble(window: int, width: str, digest: bool):
+    """Rows ordered by (sequence_id, offset) to one row a sequence; ids padded with the ending id to the window;
+    digest: with the CRC-32s of ids and positions as little-endian uint32."""
+    pad = np.full(window, END_ID, dtype=width).tobytes()
+    kinds = [pa.int64(), pa.int64(), pa.list_(pa.int32()), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.binary()] + [pa.int64()] * (2 * digest)
+    names = [c.split()[0] for c in (BLOCK + DIGEST * digest).split(", ")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list = []
-        kinds = (pa.int64(), pa.int64(), pa.list_(pa.int32()), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.binary())
-        names = ["sequence_id", "n_tokens", "cu_seqlens", "doc_ids", "starts", "ids"]
-        pack = lambda out: pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), kinds)], names=names)
-        for batch in batches:
+        spread, held = zstandard.ZstdDecompressor(), []
+
+        def row(parts: list) -> tuple:
+            ends = np.cumsum([0, *(p[4] for p in parts)])
+            raw = b"".join(spread.decompress(p[5]) for p in parts)
+            raw += pad[len(raw) :]
+            out = parts[0][0], int(ends[-1]), ends.tolist(), [p[2] for p in parts], [p[3] for p in parts], raw
+            if digest:
+                out += zlib.crc32(np.frombuffer(raw, width).astype("<u4").tobytes()), zlib.crc32(positions(ends, window).astype("<u4").tobytes())
+            return out
+
+        def pack(out: list) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), kinds)], names=names)
+
+        for batch in _slices(batches, 512):
             out = []
             for part in zip(*(c.to_pylist() for c in batch.columns)):
                 if held and held[0][0] != part[0]:
@@ -78,7 +101,7 @@ def _assemble(window: int, width: str):
     return run
 
 
-def token_blocks(docs: DataFrame, window: int = WINDOW, vocabulary: str | None = None, width: str = "<u2", id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def token_blocks(docs: DataFrame, window: int = WINDOW, vocabulary: str | None = None, width: str = "<u2", id_col: str = "doc_id", text_col: str = "text", digest: bool = False) -> DataFrame:
     """One row a sequence: the padded ids (little-endian, ``width``: two bytes hold vocabularies up to 65,536), the
     cumulative segment lengths from 0, and each segment's document and first id in it."""
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
@@ -88,26 +111,7 @@ def token_blocks(docs: DataFrame, window: int = WINDOW, vocabulary: str | None =
     placed = place(cut.drop("ids"), counts, best_fit_decreasing(counts, window), ["doc_id", "start", "uid"])
     both = cut.join(materialise(placed.select("uid", "sequence_id", "offset"), "id-places"), "uid")
     rows = both.select("sequence_id", "offset", "doc_id", "start", "length", "ids").repartition("sequence_id").sortWithinPartitions("sequence_id", "offset")
-    return rows.mapInArrow(_assemble(window, width), BLOCK)
-
-
-def _digest(width: str):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            sums = []
-            for cu, raw in zip(batch.column(2), batch.column(5)):
-                cu, ids = np.array(cu.as_py()), np.frombuffer(raw.as_py(), dtype=width)
-                sums.append((zlib.crc32(ids.astype("<u4").tobytes()), zlib.crc32(positions(cu, len(ids)).astype("<u4").tobytes())))
-            pair = np.array(sums, dtype=np.int64).reshape(-1, 2)
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(pair[:, 0]), pa.array(pair[:, 1])], names=[*batch.schema.names, "ids_crc32", "positions_crc32"])
-
-    return run
-
-
-def positions(cu: np.ndarray, window: int) -> np.ndarray:
-    """Positions of a sequence: from 0 in each segment, and in the padding."""
-    begin = np.r_[cu, window] if cu[-1] < window else cu
-    return np.arange(window) - np.repeat(begin[:-1], np.diff(begin))
+    return rows.mapInArrow(_assemble(window, width, digest), BLOCK + DIGEST * digest)
 
 
 def write_blocks(blocks: DataFrame, path: str, width: str = "<u2") -> None:
@@ -123,4 +127,4 @@ def write_blocks(blocks: DataFrame, path: str, width: str = "<u2") -> None:
 
 def op9_token_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The blocks with unsigned CRC-32s of the padded ids and of the positions, each as little-endian uint32."""
-    return token_blocks(table(spark, sf_dir, "documents")).mapInArrow(_digest("<u2"), BLOCK + ", ids_crc32 long, positions_crc32 long")
+    return token_blocks(table(spark, sf_dir, "documents"), digest=True)
