@@ -261,7 +261,9 @@ def solve(problem: str, edges: DataFrame, cfg: SolveConfig | None = None, graph:
     if cfg.engine == "local" or cfg.engine == "auto" and m <= cfg.local_rows:
         pairs = np.array([(r["u"], r["v"]) for r in edges.orderBy("u", "v").collect()])  # at most local_rows edges
         u, v, ids = index_edges(pairs)
-        return Solution(problem, graph, cfg, solve_local(problem, u, v, len(ids), cfg), spark)
+        # lanes save passes over DataFrames; in one process the plain search tries fewer steps
+        plain = replace(cfg, step="binary") if cfg.step == "kary" else cfg
+        return Solution(problem, graph, cfg, solve_local(problem, u, v, len(ids), plain), spark)
     return Solution(problem, graph, cfg, solve_spark(problem, edges, cfg), spark)
 
 

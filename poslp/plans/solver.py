@@ -50,6 +50,11 @@ class Outcome:
     targets: list = field(default_factory=list)
 
 
+def _exp(x: np.ndarray) -> np.ndarray:
+    """exp with a floor at e^-500, nothing in any sum, which keeps products clear of slow subnormal numbers."""
+    return np.exp(np.maximum(x, -500.0))
+
+
 class LocalBackend:
     """numpy vectors of one process. packing and covering have apply and apply_t."""
 
@@ -69,14 +74,14 @@ class LocalBackend:
     def stats(self, eta_: float) -> Stats:
         z = self.z[self.active]
         my, mz = self.y.max(), z.min() if len(z) else math.inf
-        ly = my + math.log(np.exp(eta_ * (self.y - my)).sum()) / eta_
-        lz = mz - math.log(np.exp(-eta_ * (z - mz)).sum()) / eta_ if len(z) else math.inf
+        ly = my + math.log(_exp(eta_ * (self.y - my)).sum()) / eta_
+        lz = mz - math.log(_exp(-eta_ * (z - mz)).sum()) / eta_ if len(z) else math.inf
         return Stats(float(my), ly, float(self.z.min()), lz, float(self.x.sum()))
 
     def direction(self, eta_: float, s: Stats, scale: float) -> Direction:
         t = time.perf_counter()
-        self.wp = np.exp(eta_ * (self.y - s.lse_y))
-        self.wc = np.where(self.active, np.exp(-eta_ * (self.z - s.lse_z)), 0.0)
+        self.wp = _exp(eta_ * (self.y - s.lse_y))
+        self.wc = np.where(self.active, _exp(-eta_ * (self.z - s.lse_z)), 0.0)
         v = time.perf_counter()
         g, h = self.p.apply_t(self.wp), self.c.apply_t(self.wc)
         m = time.perf_counter()
@@ -93,7 +98,7 @@ class LocalBackend:
         for a in alphas:
             y, zz = self.y + a * self.dy, z + a * dz
             my, mz = y.max(), zz.min()
-            ey, ez = np.exp(eta_ * (y - my)), np.exp(-eta_ * (zz - mz))
+            ey, ez = _exp(eta_ * (y - my)), _exp(-eta_ * (zz - mz))
             growth = my + math.log(ey.sum()) / eta_ - s.lse_y
             gain = mz - math.log(ez.sum()) / eta_ - s.lse_z
             out.append(Trial(a, gain, growth, float(ez @ dz / ez.sum()), float(ey @ self.dy / ey.sum()), float((self.z + a * self.dz).min())))
