@@ -6,7 +6,7 @@ one anchor form a segment. Counting the segments of each anchor hash (with map-s
 unique. Equal segments collapse to one with a count: a group of copies needs no sorting. Where segments of one anchor
 differ, one of each kind has its bytes read and goes to a shard; there ``induced_sort`` orders the suffixes and their
 common prefixes, with queues on disk beyond a memory budget, and each run of suffixes that share ``length`` bytes is a
-repeated string. An anchor with more than ``HOT`` kinds (the edge of a passage that very many texts share) is split by
+repeated string. Segments whose text beside the anchor no other shares are left out before. An anchor with more than ``HOT`` kinds (the edge of a passage that very many texts share) is split by
 the hash of the whole window instead, so no group grows with the data.
 
 A text is known by the hash of its id and bytes; windows are judged on the input. Passages of all occurrences go,
@@ -27,13 +27,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from poslp.llm.common import materialise, table
+from poslp.llm.common import discard, materialise, table
 from poslp.llm.induced_sort import sort_suffixes
 
 LENGTH = 200
 ANCHOR = 40
-#: Kinds of segments to an anchor, beyond which it is split by whole windows.
-HOT = 1000
+#: Kinds of segments to an anchor, beyond which it is split by whole windows: up to 8 MB of text for one task.
+HOT = 20_000
 #: Bytes that a task sorts at once at least; a group is never split, and has at most HOT segments.
 SHARD = 1 << 21
 _MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
@@ -65,6 +65,14 @@ class Hashes:
     def of(self, start, end) -> np.ndarray:
         return _mix((self.sums[end] - self.sums[start]) * self.down[start])
 
+    def rolling(self, k: int) -> np.ndarray:
+        """Of each substring of k bytes, by a shorter mixing."""
+        x = (self.sums[k:] - self.sums[:-k]) * self.down[: len(self.sums) - k]
+        x ^= x >> np.uint64(32)
+        x *= np.uint64(0x94D049BB133111EB)
+        x ^= x >> np.uint64(29)
+        return x
+
 
 def sliding_least(x: np.ndarray, w: int) -> np.ndarray:
     """For each window of w values the place of the least by its upper 44 bits, the leftmost on ties."""
@@ -81,36 +89,44 @@ def sliding_least(x: np.ndarray, w: int) -> np.ndarray:
     return out
 
 
-def segments(raw: np.ndarray, length: int = LENGTH) -> tuple[np.ndarray, ...]:
-    """(anchor hash, segment hash, start, end) of the runs of windows with one anchor; the windows of a segment start
-    at start..end-length."""
-    if len(raw) < length:
-        return tuple(np.empty(0, t) for t in (np.uint64, np.uint64, np.int64, np.int64))
-    h = Hashes(raw)
-    at = np.arange(len(raw) - ANCHOR + 1)
-    grams = h.of(at, at + ANCHOR)
+def segments(parts: list[bytes], length: int = LENGTH) -> tuple[np.ndarray, ...]:
+    """(part, anchor hash, segment hash, start, end) of the runs of windows with one anchor; the windows of a segment
+    start at start..end-length of its part. Parts are hashed together, windows across parts are left out."""
+    size = np.array([len(p) for p in parts], dtype=np.int64)
+    begin = np.cumsum(size) - size
+    counts = np.maximum(0, size - length + 1)
+    if not counts.sum():
+        return tuple(np.empty(0, t) for t in (np.int64, np.uint64, np.uint64, np.int64, np.int64))
+    h = Hashes(np.frombuffer(b"".join(parts), np.uint8))
+    grams = h.rolling(ANCHOR)
     place = sliding_least(grams, length - ANCHOR + 1)
-    begin = np.flatnonzero(np.r_[True, place[1:] != place[:-1]])
-    end = np.r_[begin[1:], len(place)] - 1 + length
-    # the anchor's place in the segment counts, so equal segments agree on it
-    return grams[place[begin]], _mix(h.of(begin, end) ^ (end - begin).astype(np.uint64)), begin, end
+    owner = np.repeat(np.arange(len(parts)), counts)
+    at = np.arange(len(owner)) - np.repeat(np.cumsum(counts) - counts - begin, counts)
+    mine = place[at]
+    first = np.flatnonzero(np.r_[True, (mine[1:] != mine[:-1]) | (owner[1:] != owner[:-1])])
+    last = np.r_[first[1:], len(at)] - 1
+    start, end, part = at[first], at[last] + length, owner[first]
+    return part, grams[mine[first]], _mix(h.of(start, end) ^ (end - start).astype(np.uint64)), start - begin[part], end - begin[part]
 
 
 def _emit(length: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def found(keys: list[int], parts: list[bytes]) -> pa.RecordBatch:
+            part, anchor, kind, start, end = segments(parts, length)
+            columns = (anchor.view(np.int64), kind.view(np.int64), np.array(keys, dtype=np.int64)[part], start, end)
+            return pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["anchor", "kind", "key", "start", "end"])
+
         for batch in batches:
-            rows: list[list[np.ndarray]] = []
-            n = 0
-            for key, text in zip(batch.column(0).to_numpy(zero_copy_only=False), batch.column(1)):
-                anchor, kind, start, end = segments(np.frombuffer(text.as_py().encode(), np.uint8), length)
-                if len(start):
-                    rows.append([anchor.view(np.int64), kind.view(np.int64), np.full(len(start), key, np.int64), start, end])
-                    n += len(start)
-                if n > 50_000:
-                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*rows)], names=["anchor", "kind", "key", "start", "end"])
-                    rows, n = [], 0
-            if rows:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*rows)], names=["anchor", "kind", "key", "start", "end"])
+            keys, parts, n = [], [], 0
+            for key, text in zip(batch.column(0).to_pylist(), batch.column(1)):
+                keys.append(key)
+                parts.append(text.as_py().encode())
+                n += len(parts[-1])
+                if n >= 1 << 19:
+                    yield found(keys, parts)
+                    keys, parts, n = [], [], 0
+            if keys:
+                yield found(keys, parts)
 
     return run
 
@@ -137,6 +153,8 @@ def _pieces(length: int, windows: bool):
 
 def repeated_windows(parts: list[bytes], length: int, budget: int = 1 << 28) -> list[np.ndarray]:
     """For each part the starts of its windows that also start elsewhere among the parts (same part included)."""
+    if not parts:
+        return []
     joined = np.frombuffer(b"\xff".join(parts) + b"\xff", np.uint8)
     text = np.where(joined == 255, np.uint8(1), joined + np.uint8(2)).astype(np.uint8)  # UTF-8 has no byte above 0xF4
     size = np.array([len(p) for p in parts])
@@ -152,6 +170,30 @@ def repeated_windows(parts: list[bytes], length: int, budget: int = 1 << 28) ->
     return np.split(found - begin[owner], np.searchsorted(owner, np.arange(1, len(parts))))
 
 
+def may_repeat(anchors: np.ndarray, parts: list[bytes], length: int) -> np.ndarray:
+    """Which segments can share a window with another one of their anchor. A window holds the anchor and the half of the
+    rest on its left or on its right, so that half must agree too."""
+    half = (length - ANCHOR) // 2
+    size = np.array([len(p) for p in parts])
+    begin = np.cumsum(size) - size
+    h = Hashes(np.frombuffer(b"".join(parts), np.uint8))
+    owner = np.repeat(np.arange(len(parts)), size)
+    grams = h.rolling(ANCHOR)
+    at = np.flatnonzero(grams == anchors.view(np.uint64)[owner[: len(grams)]])
+    # the anchor of all windows of a segment is the first in its last window
+    at = at[(at - begin[owner[at]] >= size[owner[at]] - length) & (at + ANCHOR <= begin[owner[at]] + size[owner[at]])]
+    who, first = np.unique(owner[at], return_index=True)
+    place = np.full(len(parts), -1)
+    place[who] = at[first]
+    out = place < 0  # not found: left to the sorting
+    for start, end in ((place - half, place), (place + ANCHOR, place + ANCHOR + half)):
+        fits = np.flatnonzero((place >= 0) & (start >= begin) & (end <= begin + size))
+        key = _mix(h.of(start[fits], end[fits]) ^ anchors.view(np.uint64)[fits])
+        _, inverse, counts = np.unique(key, return_inverse=True, return_counts=True)
+        out[fits[counts[inverse] > 1]] = True
+    return out
+
+
 def _runs(starts: np.ndarray, length: int) -> list[tuple[int, int]]:
     """Covered byte ranges of windows at the starts, which ascend."""
     if not len(starts):
@@ -165,6 +207,8 @@ def _sort_shards(length: int, budget: int):
 
     def ranges(held: list) -> pa.RecordBatch:
         out = []
+        chance = may_repeat(np.array([x[0] for x in held], dtype=np.int64), [x[3] for x in held], length)
+        held = [x for x, may in zip(held, chance) if may]
         for (_, key, start, _), hits in zip(held, repeated_windows([x[3] for x in held], length, budget)):
             out += [(key, start + a, start + b) for a, b in _runs(hits, length)]
         columns = list(zip(*out)) or [(), (), ()]
@@ -193,7 +237,8 @@ def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
 
 def repeated_ranges(docs: DataFrame, length: int = LENGTH, id_col: str = "doc_id", text_col: str = "text", budget: int = 1 << 28) -> DataFrame:
-    """(key, start, end): covered byte ranges, which may overlap and repeat; key as in _keyed."""
+    """(key, start, end): covered byte ranges, which may overlap and repeat; key as in _keyed. A written table; what it
+    was made from is deleted."""
     texts = _keyed(docs, id_col, text_col).select("_key", "_text")
     found = texts.where(F.octet_length("_text") >= length).mapInArrow(_emit(length), "anchor long, kind long, key long, start long, end long")
     counts = found.groupBy("anchor").agg(F.count(F.lit(1)).alias("n"), F.min("kind").alias("k0"), F.max("kind").alias("k1"))
@@ -213,11 +258,15 @@ def repeated_ranges(docs: DataFrame, length: int = LENGTH, id_col: str = "doc_id
     rows = _read(texts, calm).mapInArrow(_pieces(length, False), "anchor long, key long, start long, raw binary")
     rows = rows.repartition("anchor").sortWithinPartitions("anchor", "key", "start")
     out = whole.unionByName(rows.mapInArrow(_sort_shards(length, budget), "key long, start long, end long"))
+    used = [counts, meet, kinds, hot]
     if hot.limit(1).count():
         cut = _read(texts, kinds.join(hot, "anchor", "left_semi")).mapInArrow(_pieces(length, True), "a long, b long, key long, start long, n long")
         cut = materialise(cut, "hot-windows")
         twice = materialise(cut.groupBy("a", "b").agg(F.sum("n").alias("m")).where("m > 1").select("a", "b"), "hot-repeats")
         out = out.unionByName(cut.join(twice, ["a", "b"], "left_semi").select("key", "start", (F.col("start") + length).alias("end")))
+        used += [cut, twice]
+    out = materialise(out, "repeated-ranges")
+    discard(*used)
     return out
 
 
@@ -265,7 +314,7 @@ def suffix_dedup(docs: DataFrame, length: int = LENGTH, id_col: str = "doc_id",
     """(doc_id, n_bytes, n_removed, n_spans, kept_sha256, kept): kept is the remaining bytes."""
     if length <= ANCHOR:
         raise ValueError(f"the length must exceed {ANCHOR}")
-    ranges = materialise(repeated_ranges(docs, length, id_col, text_col, budget), "repeated-ranges")
+    ranges = repeated_ranges(docs, length, id_col, text_col, budget)
     _release(docs.sparkSession)
     held = ranges.groupBy("key").agg(F.collect_set(F.struct("start", "end")).alias("_ranges"))
     both = _keyed(docs, id_col, text_col).join(held, F.col("_key") == F.col("key"), "left")
