@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -65,18 +63,6 @@ def log_sum_exp_udaf(eta: float):
     return log_sum_exp
 
 
-def tile_product(tiles: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Arrow kernel over (row, col value) lists: partial sums of each tile."""
-    for batch in tiles:
-        rows, parts = [], []
-        for r, x in zip(batch.column("rows"), batch.column("products")):
-            r, x = np.array(r.as_py()), np.array(x.as_py())
-            ids, inverse = np.unique(r, return_inverse=True)
-            rows.append(ids)
-            parts.append(np.bincount(inverse, weights=x))
-        yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(rows)), pa.array(np.concatenate(parts))], names=["row", "x"])
-
-
 def register(spark: SparkSession) -> None:
     spark.udtf.register("solve_graph", SolveGraph)
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION max_violation(max_px DOUBLE, min_cx DOUBLE) RETURNS DOUBLE RETURN greatest(0, max_px - 1, 1 - min_cx)")

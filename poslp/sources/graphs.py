@@ -96,7 +96,6 @@ def supplier_coorder(spark: SparkSession, d: str, least: int = 1) -> DataFrame:
     return shared(table(spark, d, "lineitem"), "l_orderkey", "l_suppkey", least).select("u", "v")
 
 
-#: The event types in name order, as small numbers.
 def user_eventtype(spark: SparkSession, d: str) -> DataFrame:
     events = table(spark, d, "events").select("user_id", "event_type").distinct()
     # a handful of types
