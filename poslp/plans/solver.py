@@ -197,7 +197,9 @@ def search_target(solve, lo: float, hi: float, eps: float, kind: str, most: int
         if x is not None and upper <= (1 + eps) * lower:
             break
         target = math.sqrt(lower * upper) if lower > 0 else upper / 2
-        o = solve(target, enough, inner)
+        # the value found exceeds its target by up to the run's accuracy, so a narrow bracket needs half of it to close
+        narrow = eps / 2 if upper <= (1 + 3 * eps) * lower else eps
+        o = solve(target, enough, min(inner, narrow))
         was = lower, upper
         iters += o.iters
         evaluations += o.evaluations
@@ -211,8 +213,8 @@ def search_target(solve, lo: float, hi: float, eps: float, kind: str, most: int
             x, scale, value, best = o.x, o.scale, o.best, o
         if o.status == Status.ITER_LIMIT:
             break
-        if (lower, upper) == was or upper > 0 and math.isclose(lower / upper, was[0] / was[1], rel_tol=1e-3):
-            inner /= 2
+        if (lower, upper) == was or upper > 0 and math.isclose(lower / upper, was[0] / was[1], rel_tol=5e-3):
+            inner = min(inner, narrow) / 2
     closed = x is not None and upper <= (1 + eps) * lower * (1 + 1e-12)
     out = replace(best) if best else Outcome(Status.ITER_LIMIT, 0, [])
     out.status = Status.FEASIBLE if closed else Status.ITER_LIMIT
