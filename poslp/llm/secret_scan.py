@@ -1,6 +1,6 @@
 """Secret scanning with a random forest that removes false positives.
 
-Candidates are runs of 16 or more key-like characters inside the words of a text. Features: length, changes between
+Candidates are all runs of 16 or more key-like characters inside the words of a text. Features: length, changes between
 lower case, upper case, digits and marks, shares of digits and capitals, distinct characters, how much of the
 candidate the corpus's own frequent words cover, marks of the document's path (its source), and the neighbouring
 words. A random forest, trained from labelled findings, scores each candidate.
@@ -28,6 +28,8 @@ from poslp.llm.common import materialise, table, words
 CANDIDATE = r"[A-Za-z0-9+/_=-]{16,}"
 TRAIN_ROWS = 20_000
 DICTIONARY = 400
+#: Characters of its word seen before and after a candidate.
+NEAR = 80
 #: Names a credential is assigned to, and marks of a path that holds examples.
 NAMES = r"(?i)(token|secret|passw|api_?key|access_?key|auth|credential|private_?key)"
 EXAMPLE_PATH = r"(?i)(test|example|sample|fixture|doc)"
@@ -37,12 +39,22 @@ FEATURES = ["length", "changes", "digits", "capitals", "marks", "distinct", "cov
 
 
 def candidates(docs: DataFrame) -> DataFrame:
-    """doc_id, place (word number from 0), _path, candidate, and the words around it."""
+    """doc_id, place (word number from 0), offset (in the word), _path, candidate, the word's text just before and after
+    it, and the words around, of which those before count for the first run of a word alone."""
     docs = docs.select("doc_id", F.coalesce("source", F.lit("")).alias("_path"), words(F.col("text")).alias("_w"))
-    hits = F.filter(F.transform("_w", lambda w, i: F.when(F.length(w) >= 16, F.struct(i.alias("place"), F.regexp_extract(w, CANDIDATE, 0).alias("candidate")))), lambda x: x.isNotNull() & (x["candidate"] != ""))
+    hits = F.filter(F.transform("_w", lambda w, i: F.when(F.length(w) >= 16, F.struct(i.alias("place"), F.regexp_extract_all(w, F.lit(CANDIDATE), F.lit(0)).alias("runs")))), lambda x: x.isNotNull() & (F.size(x["runs"]) > 0))
     near = lambda x, k: F.coalesce(F.get("_w", x["place"] + k), F.lit(""))
-    full = F.transform(hits, lambda x: F.struct(x["place"], x["candidate"], F.get("_w", x["place"]).alias("word"), near(x, -2).alias("b2"), near(x, -1).alias("b1"), near(x, 1).alias("a1")))
-    return docs.select("doc_id", "_path", F.explode(full).alias("_x")).select("doc_id", "_path", "_x.*")
+    full = F.transform(hits, lambda x: F.struct(x["place"], x["runs"], F.split(F.get("_w", x["place"]), CANDIDATE, -1).alias("gaps"), near(x, -2).alias("b2"), near(x, -1).alias("b1"), near(x, 1).alias("a1")))
+    found = docs.select("doc_id", "_path", F.explode(full).alias("_x")).select("doc_id", "_path", "_x.*")
+    runs, gaps = F.col("runs"), F.col("gaps")
+    ends = F.aggregate(F.zip_with(F.transform(gaps, F.length), F.transform(runs, F.length), lambda g, r: g + F.coalesce(r, F.lit(0))), F.array(F.lit(0)), lambda e, n: F.array_append(e, F.element_at(e, -1) + n))
+    found = found.withColumn("_ends", ends).select("*", F.posexplode("runs").alias("_k", "candidate"))
+    first, gap = F.col("_k") == 0, F.get(gaps, F.col("_k"))
+    before = F.right(F.concat(F.coalesce(F.right(F.get(runs, F.col("_k") - 1), F.lit(NEAR)), F.lit("")), gap), F.lit(NEAR))
+    return found.select(
+        "doc_id", "_path", "place", (F.get("_ends", F.col("_k")) + F.length(gap)).alias("offset"), "candidate", before.alias("before"),
+        F.left(F.get(gaps, F.col("_k") + 1), F.lit(NEAR)).alias("after"), *[F.when(first, F.col(c)).otherwise("").alias(c) for c in ("b2", "b1")], "a1",
+    )
 
 
 def dictionary(docs: DataFrame) -> list[str]:
@@ -70,9 +82,9 @@ def with_features(found: DataFrame, known: list[str]) -> DataFrame:
         "covered": 1 - F.length(rest) / F.length(c),
         "example_path": F.col("_path").rlike(EXAMPLE_PATH).cast("double"),
         "path_depth": (F.length("_path") - F.length(F.replace("_path", F.lit("/")))).cast("double"),
-        "named": (F.col("word").rlike(NAMES) | F.col("b1").rlike(NAMES) | F.col("b2").rlike(NAMES)).cast("double"),
-        "assigned": (F.col("word").rlike("^[A-Za-z_]+[=:]") | F.col("b1").rlike("[=:]$")).cast("double"),
-        "quoted": F.col("word").rlike("[\"'`]").cast("double"),
+        "named": (F.concat("before", "candidate").rlike(NAMES) | F.col("b1").rlike(NAMES) | F.col("b2").rlike(NAMES)).cast("double"),
+        "assigned": (((F.col("offset") == F.length("before")) & F.concat("before", "candidate").rlike("^[A-Za-z_]+[=:]")) | F.col("before").rlike("[=:][\"'`]*$") | F.col("b1").rlike("[=:]$")).cast("double"),
+        "quoted": F.concat("before", "after").rlike("[\"'`]").cast("double"),
         "prose_before": F.col("b1").rlike(prose).cast("double"), "prose_after": F.col("a1").rlike(prose).cast("double"),
     })
 
@@ -102,4 +114,4 @@ def secret_scan(docs: DataFrame, labelled: DataFrame | None = None, trees: int =
 def op2_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every candidate of every document, its digest in place of its text, and the forest's verdict."""
     out = secret_scan(table(spark, sf_dir, "documents"))
-    return out.select("doc_id", F.col("place").cast("long").alias("word_place"), F.col("length").cast("long").alias("n_chars"), F.sha2("candidate", 256).alias("candidate_sha256"), F.round("score", 6).alias("score"), (F.col("score") >= 0.5).alias("is_secret"))
+    return out.select("doc_id", F.col("place").cast("long").alias("word_place"), F.col("offset").cast("long").alias("word_offset"), F.col("length").cast("long").alias("n_chars"), F.sha2("candidate", 256).alias("candidate_sha256"), F.round("score", 6).alias("score"), (F.col("score") >= 0.5).alias("is_secret"))
