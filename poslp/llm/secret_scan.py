@@ -8,8 +8,8 @@ words. A random forest, trained from labelled findings, scores each candidate.
 Findings can be given with labels. The default labels come from verifiers of high precision: a value of a known key
 shape that is assigned to a credential name is a secret; a candidate that is all digits, or that the dictionary
 covers for the most part, is none; others stay unlabelled and are only scored. The forest sees at most
-``TRAIN_ROWS`` labelled findings (those of least hash), a documented bound; dictionary and candidates come from all
-documents. Everything on the main path is DataFrame functions and JVM forests.
+``TRAIN_ROWS`` labelled findings, a documented bound: a hashed draw of findings from each label, half of the bound or
+what the other label leaves, weighted by the share drawn; dictionary and candidates come from all documents. Everything on the main path is DataFrame functions and JVM forests.
 
 Defined results: null or empty text has no candidates; repeated rows give repeated findings; an empty table, or one
 without both labels, gives no score above zero but the verified ones; other columns take no part.
@@ -97,16 +97,29 @@ def verified_labels(found: DataFrame) -> DataFrame:
     return found.withColumn("_label", F.when(yes, 1.0).when(no, 0.0))
 
 
+def training_rows(labelled: DataFrame) -> DataFrame:
+    """FEATURES, _label and _weight of at most TRAIN_ROWS labelled findings, drawn from each label by the hash of the finding."""
+    whole = {r["_label"]: r["count"] for r in labelled.groupBy("_label").count().collect()}  # two rows
+    lot = F.xxhash64(*([c for c in ("doc_id", "place", "offset", "candidate") if c in labelled.columns] or FEATURES))
+    out = labelled.select(*FEATURES, "_label", F.lit(1.0).alias("_weight")).limit(0)
+    for label, n in sorted(whole.items()):
+        take = min(n, max(TRAIN_ROWS // 2, TRAIN_ROWS - (sum(whole.values()) - n)))
+        drawn = labelled.where(F.col("_label") == label).orderBy(lot, *FEATURES).limit(take)
+        out = out.unionByName(drawn.select(*FEATURES, "_label", F.lit(n / take).alias("_weight")))
+    return out
+
+
 def secret_scan(docs: DataFrame, labelled: DataFrame | None = None, trees: int = 20, depth: int = 6, seed: int = 7) -> DataFrame:
-    """The findings with features and ``score``. labelled: rows of FEATURES and _label, by default the verified ones."""
+    """The findings with features and ``score``. labelled: rows of FEATURES and _label (doc_id, place, offset
+    and candidate tell equal ones apart), by default the verified ones."""
     docs = docs.select("doc_id", "source", "text")
     found = materialise(verified_labels(with_features(candidates(docs), dictionary(docs))), "findings")
-    train = (labelled if labelled is not None else found).where(F.col("_label").isNotNull()).select(*FEATURES, "_label")
-    train = materialise(train.orderBy(F.xxhash64(*FEATURES)).limit(TRAIN_ROWS), "labelled-findings")
+    train = (labelled if labelled is not None else found).where(F.col("_label").isNotNull())
+    train = materialise(training_rows(train), "labelled-findings")
     if train.agg(F.count_distinct("_label")).first()[0] < 2:
         return found.withColumn("score", F.coalesce("_label", F.lit(0.0)))
     assemble = VectorAssembler(inputCols=FEATURES, outputCol="_features", handleInvalid="keep")
-    forest = RandomForestClassifier(featuresCol="_features", labelCol="_label", probabilityCol="_p", rawPredictionCol="_raw", predictionCol="_class", numTrees=trees, maxDepth=depth, seed=seed)
+    forest = RandomForestClassifier(featuresCol="_features", labelCol="_label", weightCol="_weight", probabilityCol="_p", rawPredictionCol="_raw", predictionCol="_class", numTrees=trees, maxDepth=depth, seed=seed)
     scored = forest.fit(assemble.transform(train)).transform(assemble.transform(found))
     return scored.withColumn("score", vector_to_array("_p")[1]).drop("_features", "_raw", "_p", "_class")
 

@@ -2,9 +2,11 @@
 
 import hashlib
 
+import pytest
 from pyspark.sql import functions as F
 
-from poslp.llm.secret_scan import candidates, verified_labels, with_features
+from poslp.llm import secret_scan as scan
+from poslp.llm.secret_scan import candidates, training_rows, verified_labels, with_features
 
 
 def test_every_run_of_a_word_is_a_candidate(spark):
@@ -20,3 +22,13 @@ def test_every_run_of_a_word_is_a_candidate(spark):
     secret = got[1, 1, json.index(key)]
     assert secret["named"] == 1 and secret["assigned"] == 1 and secret["quoted"] == 1 and secret["_label"] == 1.0
     assert not got[1, 1, json.index(key[::-1])]["named"]
+
+
+@pytest.mark.parametrize("hot", [0.0, 1.0])
+def test_a_hot_group_leaves_room_for_both_labels(spark, monkeypatch, hot):
+    """Equal findings of one label beyond the bound, whatever their hash, next to few of the other."""
+    monkeypatch.setattr(scan, "TRAIN_ROWS", 20)
+    rows = spark.range(120).withColumnsRenamed({"id": "doc_id"}).withColumn("_label", F.when(F.col("doc_id") < 90, hot).otherwise(1 - hot))
+    rows = rows.withColumns({c: F.when(F.col("doc_id") < 90, 1.0).otherwise(F.col("doc_id").cast("double")) for c in scan.FEATURES})
+    got = {r["_label"]: (r["n"], r["w"]) for r in training_rows(rows).groupBy("_label").agg(F.count("*").alias("n"), F.sum("_weight").alias("w")).collect()}
+    assert got == {hot: (10, 90.0), 1 - hot: (10, 30.0)}
