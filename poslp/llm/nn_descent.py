@@ -5,8 +5,8 @@ The graph starts from the best neighbours inside random blocks (two hashings of
 thousand). Each round joins neighbours of neighbours: both directions of the sampled fresh and old edges meet at
 their centre with the members' vectors, every pair with a fresh edge is compared, and pairs nearer than a member's
 furthest neighbour are merged into its list. A neighbourhood has at most four samples of ``sample`` members, whatever
-the in-degree of a hub. Rounds end when few edges are fresh. For comparison the vectors are codes of one byte a
-component; results are ranked by the double-precision distance of the original vectors.
+the in-degree of a hub. Rounds end when few edges are fresh. All comparisons are double-precision distances of
+the original vectors.
 
 A query starts at its own node if it is a row of the index, else at ``ENTRIES`` fixed nodes, and keeps a beam of the
 nearest nodes seen; each round expands all beam nodes not yet expanded, until none is left. All queries advance
@@ -39,15 +39,14 @@ ROUNDS = 6
 BLOCK = 1000
 BEAM = 256
 ENTRIES = 64
-EDGE = "u long, v long, d float, fresh boolean"
+EDGE = "u long, v long, d double, fresh boolean"
 
 
-def _codes(column: pa.Array) -> np.ndarray:
-    """The rows of a binary column without nulls, as float32 components."""
+def _vectors(column: pa.Array) -> np.ndarray:
+    """The rows of an array column without nulls, in double precision."""
     column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
-    raw = np.frombuffer(column.buffers()[2], dtype=np.int8)
-    at = np.frombuffer(column.buffers()[1], dtype=np.int32)[column.offset : column.offset + len(column) + 1]
-    return raw[at[0] : at[-1]].reshape(len(column), -1).astype(np.float32)
+    flat = column.flatten().to_numpy(zero_copy_only=False).astype(np.float64)
+    return flat.reshape(len(column), -1) if len(column) else flat.reshape(0, 1)
 
 
 def _squares(x: np.ndarray, y: np.ndarray) -> np.ndarray:
@@ -60,7 +59,7 @@ def _batch(names: list[str], *columns) -> pa.RecordBatch:
 
 def _in_block(keep: int):
     def run(block: pa.Table) -> pa.Table:
-        ids, x = block.column("id").to_numpy(), _codes(block.column("code"))
+        ids, x = block.column("id").to_numpy(), _vectors(block.column("code"))
         u, v, d = [], [], []
         if len(ids) > 1:
             near = _squares(x, x)
@@ -68,7 +67,7 @@ def _in_block(keep: int):
             k = min(keep, len(ids) - 1)
             best = np.argpartition(near, k - 1, axis=1)[:, :k]
             u, v, d = np.repeat(ids, k), ids[best].ravel(), np.take_along_axis(near, best, 1).ravel()
-        return pa.table({"u": pa.array(u, pa.int64()), "v": pa.array(v, pa.int64()), "d": pa.array(d, pa.float32()), "fresh": pa.array(np.ones(len(u), dtype=bool))})
+        return pa.table({"u": pa.array(u, pa.int64()), "v": pa.array(v, pa.int64()), "d": pa.array(d, pa.float64()), "fresh": pa.array(np.ones(len(u), dtype=bool))})
 
     return run
 
@@ -79,7 +78,7 @@ def _local_join(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         lists = batch.column(0)
         at, flat = lists.offsets.to_numpy(), lists.values
         ids, furthest, fresh = (flat.field(k).to_numpy(zero_copy_only=False) for k in ("m", "furthest", "fresh"))
-        x = _codes(flat.field("code"))
+        x = _vectors(flat.field("code"))
         u, v, d = [], [], []
         for s, e in zip(at[:-1], at[1:]):
             m, f, y = ids[s:e], fresh[s:e], x[s:e]
@@ -89,14 +88,14 @@ def _local_join(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             v.append(m[b])
             d.append(near[a, b])
         if u:
-            u, v, d = np.concatenate(u), np.concatenate(v), np.concatenate(d).astype(np.float32)
+            u, v, d = np.concatenate(u), np.concatenate(v), np.concatenate(d)
             yield _batch(["u", "v", "d", "fresh"], u, v, d, np.ones(len(u), dtype=bool))
 
 
 def _distances(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         if batch.num_rows:
-            yield _batch(["qid", "v", "d"], batch.column(0), batch.column(1), ((_codes(batch.column(2)) - _codes(batch.column(3))) ** 2).sum(1).astype(np.float32))
+            yield _batch(["qid", "v", "d"], batch.column(0), batch.column(1), ((_vectors(batch.column(2)) - _vectors(batch.column(3))) ** 2).sum(1))
 
 
 def _nearest(edges: DataFrame, keep: int) -> DataFrame:
@@ -124,15 +123,16 @@ def usable(rows: DataFrame, id_col: str, vector_col: str) -> DataFrame:
 
 
 class NeighbourGraph:
-    """nodes: (id, vec, code), one row a distinct vector; members: (node, id), the copies; edges: (u, v, d)."""
+    """nodes: (id, vec, code), one row a distinct vector, code the vector in the width it came in; members: (node, id), the copies; edges: (u, v, d)."""
 
     def __init__(self, rows: DataFrame, id_col: str, vector_col: str, neighbours: int = NEIGHBOURS, sample: int = SAMPLE, rounds: int = ROUNDS):
         self.spark = rows.sparkSession
+        wide = rows.schema[vector_col].dataType
         rows = materialise(usable(rows, id_col, vector_col), "vectors")
-        top = rows.agg(F.max(F.array_max(F.transform("vec", F.abs)))).first()[0] or 1.0
-        code = F.unhex(F.array_join(F.transform("vec", lambda x: F.lpad(F.hex(F.pmod(F.round(x * F.lit(127.0 / top)).cast("int"), F.lit(256))), 2, "0")), ""))
-        self.nodes = materialise(rows.groupBy("vec").agg(F.min("id").alias("id")).select("id", "vec", code.alias("code")), "nodes")
-        self.rows, self.top, self.code = rows, top, code
+        # without loss: four bytes a component where the table holds no more
+        kind = "array<float>" if wide.simpleString() == "array<float>" else "array<double>"
+        self.nodes = materialise(rows.groupBy("vec").agg(F.min("id").alias("id")).select("id", "vec", F.col("vec").cast(kind).alias("code")), "nodes")
+        self.rows = rows
         self.count = self.nodes.count()
         self.edges = self._build(neighbours, sample, rounds)
 
@@ -151,7 +151,7 @@ class NeighbourGraph:
 
     def _round(self, slim: DataFrame, edges: DataFrame, keep: int, sample: int, k: int) -> DataFrame:
         lot = F.xxhash64(F.lit(k), "u", "v")
-        furthest = edges.groupBy(F.col("u").alias("m")).agg(F.when(F.count(F.lit(1)) >= keep, F.max("d")).otherwise(F.lit(float("inf"))).cast("float").alias("furthest"))
+        furthest = edges.groupBy(F.col("u").alias("m")).agg(F.when(F.count(F.lit(1)) >= keep, F.max("d")).otherwise(F.lit(float("inf"))).alias("furthest"))
         member = materialise(slim.withColumnRenamed("id", "m").join(furthest, "m", "left").fillna(float("inf"), ["furthest"]), "members")
         drawn = Window.partitionBy("u", "fresh").orderBy(lot)
         out = edges.withColumn("_r", F.row_number().over(drawn)).withColumn("_drawn", F.col("_r") <= sample).drop("_r")
@@ -167,8 +167,8 @@ class NeighbourGraph:
 
     def search(self, queries: DataFrame, id_col: str, vector_col: str, k: int = 10, beam: int = BEAM, most_rounds: int = 20) -> DataFrame:
         """(query_id, rank, vec_id, score): the k nearest rows found for each query, but for the row of its own id."""
-        ask = usable(queries, id_col, vector_col).withColumn("code", self.code).join(self.nodes.select("vec", F.col("id").alias("node")), "vec", "left")
-        ask = materialise(ask.dropDuplicates(["id"]).select(F.col("id").alias("qid"), F.col("vec").alias("qvec"), F.col("code").alias("qcode"), "node"), "queries")
+        ask = usable(queries, id_col, vector_col).join(self.nodes.select("vec", F.col("id").alias("node")), "vec", "left")
+        ask = materialise(ask.dropDuplicates(["id"]).select(F.col("id").alias("qid"), F.col("vec").alias("qvec"), "node"), "queries")
         slim = self.nodes.select(F.col("id").alias("v"), "code")
         ways = self.edges.unionByName(self.edges.select(F.col("v").alias("u"), F.col("u").alias("v"), "d"))
         back = ways.withColumn("_r", F.row_number().over(Window.partitionBy("u").orderBy("d", "v"))).where(F.col("_r") <= 2 * NEIGHBOURS)
@@ -189,8 +189,8 @@ class NeighbourGraph:
         return self._ranked(state, ask, k)
 
     def _measured(self, pairs: DataFrame, ask: DataFrame, slim: DataFrame) -> DataFrame:
-        both = pairs.join(slim, "v").join(ask.select("qid", "qcode"), "qid")
-        return both.select("qid", "v", "code", "qcode").mapInArrow(_distances, "qid long, v long, d float")
+        both = pairs.join(slim, "v").join(ask.select("qid", "qvec"), "qid")
+        return both.select("qid", "v", "code", "qvec").mapInArrow(_distances, "qid long, v long, d double")
 
     def _beam(self, found: DataFrame, beam: int) -> DataFrame:
         once = Window.partitionBy("qid", "v").orderBy(F.desc("done"))
