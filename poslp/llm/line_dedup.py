@@ -1,13 +1,14 @@
 """Removal of lines that many documents share.
 
 Lines of at least ``min_chars`` code points (after stripping white space and lower-casing A-Z) are hashed to
-128 bits and exploded once per document; one aggregate with map-side combine counts the documents of each hash
-and finds the largest doc_id. Hashes over the threshold are joined back to the (doc_id, hash) rows, never to the
-text; the text moves once, to meet its own list of dropped hashes, and is reassembled by position in the row.
+128 bits and exploded once per row; one aggregate with map-side combine counts the rows of each hash, and among the
+few hashes that enough rows hold, distinct doc_ids are counted and the largest found. Hashes over the threshold are
+joined back to the (doc_id, hash) rows, never to the text; the text moves once, to meet its own list of dropped hashes,
+and is reassembled by position in the row.
 
-Defined results: null or empty text is one empty line; a repeated row is a document of its own, and every row
-under the largest doc_id keeps the line; rows with a null doc_id count towards the frequency and keep all lines;
-an empty table gives an empty table; only the id and text columns are read, the others pass through untouched.
+Defined results: null or empty text is one empty line; rows that share a doc_id are one document in the count, each is
+returned, and every row under the largest doc_id keeps the line; rows with a null doc_id count towards nothing and keep
+all lines; an empty table gives an empty table; only the id and text columns are read, the others pass through untouched.
 """
 
 from __future__ import annotations
@@ -28,9 +29,11 @@ def shared_lines(docs: DataFrame, min_docs: int, min_chars: int, id_col: str, te
     found = F.filter(F.transform(lines(F.col(text_col)), lambda x: _hash(x, min_chars)), lambda h: h.isNotNull())
     held = docs.select(F.col(id_col).alias("_id"), F.explode(F.array_distinct(found)).alias("_h"))
     held = materialise(held.select("_id", F.col("_h.a").alias("_a"), F.col("_h.b").alias("_b")), "line-hashes")
-    often = held.groupBy("_a", "_b").agg(F.count(F.lit(1)).alias("_n"), F.max("_id").alias("_last"))
-    often = materialise(often.where(F.col("_n") >= min_docs).select("_a", "_b", "_last"), "frequent-lines")
-    return held.join(often, ["_a", "_b"]).where(F.col("_id") < F.col("_last")).select("_id", "_a", "_b")
+    often = held.groupBy("_a", "_b").agg(F.count(F.lit(1)).alias("_n")).where(F.col("_n") >= min_docs)
+    hit = materialise(held.join(materialise(often.select("_a", "_b"), "frequent-lines"), ["_a", "_b"]), "frequent-line-rows")
+    last = hit.groupBy("_a", "_b").agg(F.count_distinct("_id").alias("_n"), F.max("_id").alias("_last")).where(F.col("_n") >= min_docs)
+    last = materialise(last.select("_a", "_b", "_last"), "shared-lines")
+    return hit.join(last, ["_a", "_b"]).where(F.col("_id") < F.col("_last")).select("_id", "_a", "_b")
 
 
 def line_dedup(docs: DataFrame, min_docs: int = 5, min_chars: int = 40, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
