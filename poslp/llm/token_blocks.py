@@ -38,7 +38,10 @@ def _cut(window: int, vocabulary: str | None, width: str):
         for batch in _slices(batches, 512):
             doc, start, length, raw = [], [], [], []
             for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1)):
-                ids = document_ids(text.as_py(), encode).astype(width)
+                ids = document_ids(text.as_py(), encode)
+                if ids.max() > np.iinfo(width).max:
+                    raise ValueError(f"id {ids.max()} does not fit the width {width}")
+                ids = ids.astype(width)
                 for s in range(0, len(ids), window):
                     part = ids[s : s + window]
                     doc.append(doc_id)
@@ -103,7 +106,7 @@ def _assemble(window: int, width: str, digest: bool):
 
 def token_blocks(docs: DataFrame, window: int = WINDOW, vocabulary: str | None = None, width: str = "<u2", id_col: str = "doc_id", text_col: str = "text", digest: bool = False) -> DataFrame:
     """One row a sequence: the padded ids (little-endian, ``width``: two bytes hold vocabularies up to 65,536), the
-    cumulative segment lengths from 0, and each segment's document and first id in it."""
+    cumulative segment lengths from 0, and each segment's document and first id in it. An id beyond the width raises."""
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     # a piece's uid is fixed once the table is written
     cut = materialise(texts.mapInArrow(_cut(window, vocabulary, width), "uid long, doc_id long, start long, length long, ids binary"), "id-pieces")
