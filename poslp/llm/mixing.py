@@ -113,7 +113,7 @@ def mix(docs: DataFrame, target_entropy: float | None = None, max_repeats: float
     rows = rows.withColumn("_extra", (F.col("_left") > 0) & ((F.col("_in") <= F.col("_left")) | (used <= F.col("_left"))))
     times = F.col("_whole") + F.when(F.col("_extra") & (F.col("_part") > 0), 1).otherwise(0)
     rows = rows.withColumn("_epoch", F.explode(F.when(times > 0, F.sequence(F.lit(0).cast("long"), times - 1)).otherwise(F.array().cast("array<bigint>"))))
-    rows = rows.withColumns({"_place": F.xxhash64(F.lit(seed), "_epoch", "_id"), "_block_place": F.xxhash64(F.lit(seed), "_epoch", "_block")})
+    rows = rows.withColumns({"_place": F.xxhash64(F.lit(seed), "_epoch", "_id"), "_block_place": F.xxhash64(F.lit(seed), "_epoch", "_source", "_block")})
     return rows.select(*[F.col(f"`{c}`") for c in docs.columns], "_tokens", "_epoch", "_block", "_block_place", "_place")
 
 
