@@ -26,9 +26,11 @@ START, END = "<|im_start|>", "<|im_end|>"
 
 
 def render(role: Column, text: Column) -> Column:
-    """One turn. A mark inside a text is broken by a space, so no text can open or close a turn."""
-    safe = F.replace(F.replace(F.coalesce(text, F.lit("")), F.lit(START), F.lit("<| im_start|>")), F.lit(END), F.lit("<| im_end|>"))
-    return F.concat(F.lit(START), F.coalesce(role, F.lit("unknown")), F.lit("\n"), safe, F.lit(END + "\n"))
+    """One turn. A mark inside a text or role is broken by a space and a line end in a role becomes one, so neither can
+    open or close a turn."""
+    safe = lambda x: F.replace(F.replace(x, F.lit(START), F.lit("<| im_start|>")), F.lit(END), F.lit("<| im_end|>"))
+    named = F.translate(safe(F.coalesce(role, F.lit("unknown"))), "\n", " ")
+    return F.concat(F.lit(START), named, F.lit("\n"), safe(F.coalesce(text, F.lit(""))), F.lit(END + "\n"))
 
 
 def prefix_hashes(turns: DataFrame) -> DataFrame:
@@ -75,7 +77,7 @@ prefixed AS (
 whole AS (SELECT upto, n, min(conv_id) AS conv_id FROM prefixed WHERE i = n GROUP BY upto, n),
 kept AS (SELECT conv_id FROM whole w WHERE NOT EXISTS (SELECT 1 FROM prefixed p WHERE p.i < p.n AND p.i = w.n AND p.upto = w.upto))
 SELECT p.conv_id, count(*)::BIGINT AS n_turns,
-       string_agg('<|im_start|>' || coalesce(role, 'unknown') || chr(10)
+       string_agg('<|im_start|>' || translate(replace(replace(coalesce(role, 'unknown'), '<|im_start|>', '<| im_start|>'), '<|im_end|>', '<| im_end|>'), chr(10), ' ') || chr(10)
          || replace(replace(coalesce(text, ''), '<|im_start|>', '<| im_start|>'), '<|im_end|>', '<| im_end|>') || '<|im_end|>' || chr(10), '' ORDER BY i) AS rendered
 FROM placed p JOIN kept k ON p.conv_id = k.conv_id GROUP BY p.conv_id
 """
