@@ -2,16 +2,18 @@
 
 Every whole text is measured inside its own row, with built-in functions alone and no shuffle of text. A first
 scan counts words per language with map-side combine; each language's most frequent words and its character
-classes, over all documents, are its reference (the class sums once more without those far from the first sums). A document is rejected when the Jensen-Shannon distance (base 2,
-square root of the divergence) between its own histogram and the reference exceeds a threshold, and the document is
-long enough for the histogram to mean something: the class histogram counts from ``min_chars`` characters, the
+classes, over all documents, are its reference. The class sums are taken twice: all documents count in both, in the
+second by a weight that falls with their distance from the first. A document is rejected when the Jensen-Shannon distance
+(base 2, square root of the divergence) between its own histogram and the reference exceeds a threshold, and the document
+is long enough for the histogram to mean something: the class histogram counts from ``min_chars`` characters, the
 common-word histogram from ``min_words`` words.
 
-References: the 256 most frequent languages (null is a language of its own) have one each, every other language is
-measured against the reference over all documents; so the broadcast table has at most 257 rows.
+References: every language with ``MIN_REFERENCE`` words or more has its own; shorter ones, which a few documents could
+be the whole of, are measured against the reference over all documents. References are joined by key; Spark broadcasts
+them only under its size threshold, which thousands of languages do not reach.
 
-Defined results: null or empty text has no words and fails the base rule; repeated rows are separate rows; an empty
-table gives an empty table; other columns take no part.
+Defined results: null or empty text has no words and fails the base rule; a null language is the empty one; repeated
+rows are separate rows; an empty table gives an empty table; other columns take no part.
 """
 
 from __future__ import annotations
@@ -22,8 +24,11 @@ from pyspark.sql.window import Window
 
 from poslp.llm.common import WORD, let, lines, materialise, table, words
 
-LANGUAGES = 256
+#: Words of a language from which it has a reference of its own.
+MIN_REFERENCE = 2_000
 COMMON = 24
+#: Parts of a language's words that are ranked apart before its most frequent ones are.
+SALTS = 32
 #: The characters counted as symbols by the contract, and the stops of the class histogram.
 SYMBOLS = "#*$%&|<>"
 STOPS = ".,;:!?'\"()-"
@@ -32,9 +37,11 @@ CLASSES = 7
 #: Repeated windows up to which their places are looked up one by one, beyond which all windows are sorted.
 FEW = 48
 COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
+#: Distance from the first class reference at which a document counts half in the second, final one.
+HALF = 0.2
+#: The weight of a document at distance zero; weights are whole numbers, so that sums do not depend on their order.
+FULL = 1024
 #: Thresholds, set on the labelled documents so that clean ones stay far below them.
-#: Documents further than this from the first class reference don't count in the second, final one.
-TRIM = 0.2
 MAX_CLASS_DISTANCE = 0.3
 MAX_WORD_DISTANCE = 0.42
 MIN_CHARS = 200
@@ -98,13 +105,16 @@ def common_words(docs: DataFrame) -> DataFrame:
     counts = docs.select(_lang(F.col("lang")).alias("_lang"), F.explode(words(F.col("text"))).alias("_w")).groupBy("_lang", "_w").agg(F.count(F.lit(1)).alias("_n"))
     counts = materialise(counts, "word-counts")
     total = counts.groupBy("_lang").agg(F.sum("_n").alias("_all"))
-    named = total.orderBy(F.desc("_all"), "_lang").limit(LANGUAGES)
-    own = counts.join(F.broadcast(named.select("_lang")), "_lang", "left_semi")
-    top = own.withColumn("_r", F.row_number().over(Window.partitionBy("_lang").orderBy(F.desc("_n"), "_w"))).where(F.col("_r") <= COMMON)
+    named = materialise(total.where(F.col("_all") >= MIN_REFERENCE), "languages")
+    order = [F.desc("_n"), F.col("_w")]
+    salted = counts.withColumn("_s", F.pmod(F.xxhash64("_w"), F.lit(SALTS)))
+    some = salted.withColumn("_r", F.row_number().over(Window.partitionBy("_lang", "_s").orderBy(*order))).where(F.col("_r") <= COMMON)
+    top = some.withColumn("_r", F.row_number().over(Window.partitionBy("_lang").orderBy(*order))).where(F.col("_r") <= COMMON)
+    top = top.join(named.select("_lang"), "_lang", "left_semi")
     every = counts.groupBy("_w").agg(F.sum("_n").alias("_n")).orderBy(F.desc("_n"), "_w").limit(COMMON)
     ranked = top.select("_lang", "_w", "_n", "_r").unionByName(every.select(F.lit(None).cast("string").alias("_lang"), "_w", "_n", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy(F.desc("_n"), "_w")).alias("_r")))
     totals = named.unionByName(total.agg(F.sum("_all").alias("_all")).select(F.lit(None).cast("string").alias("_lang"), "_all"))
-    out = ranked.groupBy("_lang").agg(F.array_sort(F.collect_list(F.struct("_r", "_w", "_n"))).alias("_top")).join(F.broadcast(totals.withColumnRenamed("_lang", "_l2")), F.col("_lang").eqNullSafe(F.col("_l2")))
+    out = ranked.groupBy("_lang").agg(F.array_sort(F.collect_list(F.struct("_r", "_w", "_n"))).alias("_top")).join(totals.withColumnRenamed("_lang", "_l2"), F.col("_lang").eqNullSafe(F.col("_l2")))
     usual = F.transform("_top", lambda x: x["_n"])
     rest = F.col("_all") - F.aggregate(usual, F.lit(0).cast("long"), lambda a, x: a + x)
     return out.select("_lang", F.transform("_top", lambda x: x["_w"]).alias("_common"), F.array_append(usual, rest).alias("_usual"))
@@ -140,22 +150,23 @@ def measure(docs: DataFrame, carry: list[str] | None = None) -> DataFrame:
     refs = materialise(common_words(docs), "common-words")
     own = refs.where(F.col("_lang").isNotNull()).withColumnRenamed("_lang", "_ref")
     pooled = refs.where(F.col("_lang").isNull()).select(F.col("_common").alias("_c0"), F.col("_usual").alias("_u0"))
-    # at most LANGUAGES + 1 rows of COMMON words each
-    out = docs.join(F.broadcast(own), _lang(F.col("lang")) == F.col("_ref"), "left").join(F.broadcast(pooled), F.lit(True), "left")
+    out = docs.join(own, _lang(F.col("lang")) == F.col("_ref"), "left").join(F.broadcast(pooled), F.lit(True), "left")  # pooled: one row
     out = out.withColumns({"_common": F.coalesce("_common", "_c0"), "_usual": F.coalesce("_usual", "_u0")})
     out = with_tally(with_counts(out.select("doc_id", "text", "_row", "_ref", "_common", "_usual")))
     padded = F.transform(F.sequence(F.lit(1), F.lit(COMMON + 1)), lambda i: F.coalesce(F.get(F.col("_usual"), F.when(i <= COMMON, F.when(i < F.size("_usual"), i - 1).otherwise(-1)).otherwise(F.size("_usual") - 1)), F.lit(0)).cast("long"))
     rows = materialise(out.select("doc_id", "_row", "_ref", *COUNTS, "_chars", "_classes", "_tally", padded.alias("_usual")), "text-measures")
-    first = _against(rows, rows)
-    return _against(rows, first.where(F.coalesce("_class_js", F.lit(0.0)) <= TRIM))
-
-
-def _against(rows: DataFrame, usual: DataFrame) -> DataFrame:
-    """The distances of rows to the class sums of the usual rows, by reference."""
-    sums = F.array(*[F.sum(F.col("_classes")[i]) for i in range(CLASSES)]).alias("_normal")
-    own = usual.where(F.col("_ref").isNotNull()).groupBy("_ref").agg(sums).withColumnRenamed("_ref", "_r")
-    every = usual.agg(sums).withColumnRenamed("_normal", "_n0")
-    out = rows.join(F.broadcast(own), F.col("_ref") == F.col("_r"), "left").join(F.broadcast(every), F.lit(True), "left")
+    first = _against(rows, rows.withColumn("_weight", F.lit(FULL)))
+    near = F.lit(FULL) / (1 + F.pow(F.coalesce("_class_js", F.lit(0.0)) / HALF, F.lit(4)))
+    return _against(rows, first.withColumn("_weight", F.round(near).cast("long")))
+
+
+def _against(rows: DataFrame, weighted: DataFrame) -> DataFrame:
+    """The distances of rows to the weighted class sums, by reference."""
+    sums = F.array(*[F.sum(F.col("_classes")[i].cast("decimal(20,0)") * F.col("_weight")).cast("double") for i in range(CLASSES)]).alias("_normal")
+    # written, so that its size is known when the join is planned
+    own = materialise(weighted.where(F.col("_ref").isNotNull()).groupBy("_ref").agg(sums).withColumnRenamed("_ref", "_r"), "class-sums")
+    every = weighted.agg(sums).withColumnRenamed("_normal", "_n0")
+    out = rows.join(own, F.col("_ref") == F.col("_r"), "left").join(F.broadcast(every), F.lit(True), "left")  # every: one row
     return out.select("doc_id", "_row", "_ref", *COUNTS, "_chars", "_classes", "_tally", "_usual", js_distance(F.col("_classes"), F.coalesce("_normal", "_n0")).alias("_class_js"), js_distance(F.col("_tally"), F.col("_usual")).alias("_word_js"))
 
 
