@@ -1,9 +1,11 @@
 """Secret scanning with a random forest that removes false positives.
 
-Candidates are all runs of 16 or more key-like characters inside the words of a text. Features: length, changes between
-lower case, upper case, digits and marks, shares of digits and capitals, distinct characters, how much of the
-candidate the corpus's own frequent words cover, marks of the document's path (its source), and the neighbouring
-words. A random forest, trained from labelled findings, scores each candidate.
+Candidates are all runs of 16 or more key-like characters inside the words of a text; a run is cut after an equals sign
+that more than padding follows, so that an assigned value stands apart from its name. Features: length, character
+transitions (the share of each change between lower case, upper case, digits and marks, and the number of changes),
+shares of digits and capitals, distinct characters, how much of the candidate the corpus's own frequent words cover,
+marks of the document's path (its source), and the neighbouring words. A random forest, trained from labelled findings,
+scores each candidate.
 
 Findings can be given with labels. The default labels come from verifiers of high precision: a value of a known key
 shape that is assigned to a credential name is a secret; a candidate that is all digits, or that the dictionary
@@ -23,9 +25,10 @@ from pyspark.ml.functions import vector_to_array
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from poslp.llm.common import materialise, table, words
+from poslp.llm.common import LOWER, UPPER, materialise, table, words
 
-CANDIDATE = r"[A-Za-z0-9+/_=-]{16,}"
+#: A run ends at an equals sign unless only equals signs follow, as in padded base 64.
+CANDIDATE = r"[A-Za-z0-9+/_-]{16,}(?:=+(?![A-Za-z0-9+/_-]))?"
 TRAIN_ROWS = 20_000
 DICTIONARY = 400
 #: Characters of its word seen before and after a candidate.
@@ -35,7 +38,10 @@ NAMES = r"(?i)(token|secret|passw|api_?key|access_?key|auth|credential|private_?
 EXAMPLE_PATH = r"(?i)(test|example|sample|fixture|doc)"
 #: Shapes of keys that are verified by form alone.
 SHAPES = r"^([0-9a-f]{32}|[0-9a-f]{40}|[0-9a-f]{64}|AKIA[0-9A-Z]{16}|gh[pousr]_[A-Za-z0-9]{36}|sk-[A-Za-z0-9]{20,}|[A-Za-z0-9+/]{40,}={0,2})$"
-FEATURES = ["length", "changes", "digits", "capitals", "marks", "distinct", "covered", "example_path", "path_depth", "named", "assigned", "quoted", "prose_before", "prose_after"]
+#: The classes of characters, and the pairs of them whose share of a candidate's neighbours is a feature.
+KINDS = "lud-"
+PAIRS = [a + b for a in KINDS for b in KINDS]
+FEATURES = [f"pair_{p}" for p in PAIRS] + ["length", "changes", "digits", "capitals", "marks", "distinct", "covered", "example_path", "path_depth", "named", "assigned", "quoted", "prose_before", "prose_after"]
 
 
 def candidates(docs: DataFrame) -> DataFrame:
@@ -70,13 +76,17 @@ def _share(text: Column, pattern: str) -> Column:
 
 def with_features(found: DataFrame, known: list[str]) -> DataFrame:
     c = F.col("candidate")
-    kinds = F.regexp_replace(F.regexp_replace(F.regexp_replace(F.regexp_replace(c, "[0-9]+", "\u0001"), "[a-z]+", "\u0002"), "[A-Z]+", "\u0003"), "[+/_=-]+", "\u0004")
+    kinds = F.translate(c, LOWER + UPPER + "0123456789+/_=-", "l" * 26 + "u" * 26 + "d" * 10 + "-" * 5)
+    pairs = F.transform(F.sequence(F.lit(1), F.length("_kinds") - 1), lambda i: F.substring("_kinds", i, F.lit(2)))
     lower = sorted({w.lower() for w in known}, key=lambda w: (-len(w), w))
     rest = F.regexp_replace(F.lower(c), "|".join(lower), "") if lower else c
     prose = r"^\p{L}{1,12}[.,]?$"
+    found = found.withColumn("_kinds", kinds).withColumn("_pairs", pairs)
+    share = lambda p: F.size(F.filter("_pairs", lambda x: x == p)) / F.size("_pairs")
     return found.withColumns({
+        **{f"pair_{p}": share(p) for p in PAIRS},
         "length": F.length(c).cast("double"),
-        "changes": (F.length(kinds) - 1).cast("double"),
+        "changes": F.size(F.filter("_pairs", lambda x: F.substring(x, 1, 1) != F.substring(x, 2, 1))).cast("double"),
         "digits": _share(c, "[0-9]"), "capitals": _share(c, "[A-Z]"), "marks": _share(c, "[+/_=-]"),
         "distinct": F.size(F.array_distinct(F.split(c, ""))).cast("double"),
         "covered": 1 - F.length(rest) / F.length(c),
@@ -86,7 +96,7 @@ def with_features(found: DataFrame, known: list[str]) -> DataFrame:
         "assigned": (((F.col("offset") == F.length("before")) & F.concat("before", "candidate").rlike("^[A-Za-z_]+[=:]")) | F.col("before").rlike("[=:][\"'`]*$") | F.col("b1").rlike("[=:]$")).cast("double"),
         "quoted": F.concat("before", "after").rlike("[\"'`]").cast("double"),
         "prose_before": F.col("b1").rlike(prose).cast("double"), "prose_after": F.col("a1").rlike(prose).cast("double"),
-    })
+    }).drop("_kinds", "_pairs")
 
 
 def verified_labels(found: DataFrame) -> DataFrame:
