@@ -24,6 +24,20 @@ def test_every_run_of_a_word_is_a_candidate(spark):
     assert not got[1, 1, json.index(key[::-1])]["named"]
 
 
+def test_an_assigned_value_stands_apart_from_its_name(spark):
+    key = "ghp_" + hashlib.sha256(b"k").hexdigest()[:36]
+    docs = spark.createDataFrame([(1, "s", f"MY_SECRET_ACCESS_KEY={key}"), (2, "s", f"token={'Ab1+' * 10}=="), (3, "s", f"x={'aB3/' * 10}")], "doc_id long, source string, text string")
+    rows = verified_labels(with_features(candidates(docs), [])).orderBy("doc_id", "offset").collect()
+    assert [(r["doc_id"], r["candidate"], r["_label"]) for r in rows] == [(1, "MY_SECRET_ACCESS_KEY", None), (1, key, 1.0), (2, "Ab1+" * 10 + "==", 1.0), (3, "aB3/" * 10, None)]
+
+
+def test_transitions_are_shares_of_neighbouring_characters(spark):
+    docs = spark.createDataFrame([(1, "s", "aaaaBBBB1111----")], "doc_id long, source string, text string")
+    r = with_features(candidates(docs), []).first()
+    got = {p: round(15 * r[f"pair_{p}"]) for p in scan.PAIRS if r[f"pair_{p}"]}
+    assert got == {"ll": 3, "lu": 1, "uu": 3, "ud": 1, "dd": 3, "d-": 1, "--": 3} and r["changes"] == 3
+
+
 @pytest.mark.parametrize("hot", [0.0, 1.0])
 def test_a_hot_group_leaves_room_for_both_labels(spark, monkeypatch, hot):
     """Equal findings of one label beyond the bound, whatever their hash, next to few of the other."""

@@ -46,6 +46,30 @@ def test_line_dedup_keeps_the_last_holder(spark):
     assert all(got[i]["_n_dropped"] == 1 and got[i]["text"] == f"own {i}\nend" for i in range(5)) and got[5]["_n_dropped"] == 0
 
 
+def test_line_dedup_counts_documents_not_rows(spark):
+    line = "A line of more than forty characters that some documents share."
+    docs = spark.createDataFrame([(1, line)] * 3 + [(2, line), (3, line), (None, line)], "doc_id long, text string")
+    assert all(r["_n_dropped"] == 0 for r in line_dedup(docs).collect())
+    more = docs.unionByName(spark.createDataFrame([(4, line), (5, line)], docs.schema))
+    assert sorted((str(r["doc_id"]), r["_n_dropped"]) for r in line_dedup(more).collect()) == [("1", 1)] * 3 + [("2", 1), ("3", 1), ("4", 1), ("5", 0), ("None", 0)]
+
+
+def test_quality_has_a_reference_for_every_long_language(spark):
+    """More languages than any fixed cap; in each, one document of another script beside many of its own."""
+    from poslp.llm import quality_rules as rules
+
+    rows = []
+    for k in range(300):
+        own = " ".join(chr(0x4E00 + 40 * k + i % 37) + chr(0x4E00 + 40 * k + i % 31) for i in range(700))
+        rows += [(10 * k + j, own, f"l{k}") for j in range(3)]
+    rows += [(9001, "### $$$ %%% " * 100, "l7"), (9002, "lone words here " * 100, "alone")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    out = {r["doc_id"]: r for r in rules.measure(docs).collect()}
+    assert all(out[d]["_class_js"] < 0.1 and out[d]["_word_js"] < 0.1 for d in out if d < 9000 and d // 10 != 7)
+    assert out[9001]["_class_js"] > rules.MAX_CLASS_DISTANCE and out[71]["_class_js"] < rules.MAX_CLASS_DISTANCE
+    assert out[9002]["_class_js"] > 0.3  # 300 words are no reference of their own
+
+
 def test_quality(odd, none):
     out = judge(measure(odd, odd.columns)).select("_row.*", "n_words", "base_failed", "kept").collect()
     assert len(out) == odd.count() and judge(measure(none)).count() == 0
@@ -80,8 +104,14 @@ def test_mixing(odd, none):
     assert out.select(*odd.columns).distinct().count() == odd.distinct().count() and mix(none).count() == 0
 
 
-def test_secrets(odd, none):
-    assert secret_scan(odd).count() >= 0 and secret_scan(none).count() == 0
+def test_secrets(odd, none, spark):
+    assert [(r["doc_id"], r["candidate"], r["score"]) for r in secret_scan(odd).collect()] == [(None, "x" * 300, 0.0)]
+    assert secret_scan(none).count() == 0
+    twice = spark.createDataFrame([(1, "s", "password=deadbeefdeadbeef0123 " * 2)] * 2 + [(2, "s", "number 1234567890123456789")], "doc_id long, source string, text string")
+    rows = secret_scan(twice).collect()
+    assert len(rows) == 5 and {(r["candidate"], r["place"]) for r in rows if r["doc_id"] == 1} == {("deadbeefdeadbeef0123", 0), ("deadbeefdeadbeef0123", 1)}
+    long = spark.createDataFrame([(1, "s", "word " * 200_000 + "token=" + "a1" * 16)], twice.schema)
+    assert [r["place"] for r in secret_scan(long).collect()] == [200_000]
 
 
 def test_suffix(odd, none):
