@@ -46,19 +46,24 @@ def shingle_hashes(found: Column, size: int) -> Column:
     return F.when(n >= size, runs).when(n > 0, F.array(F.xxhash64(F.array_join(found, " ")))).otherwise(F.array().cast("array<bigint>"))
 
 
-def _majority(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def majority_bits(hashes: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """The fingerprint, as int64, of each run hashes[at[k]:at[k + 1]]; of an empty one zero."""
     weights = np.uint64(1) << np.arange(64, dtype=np.uint64)
+    flat = np.ascontiguousarray(hashes).view(np.uint8).reshape(-1, 8)
+    out = np.zeros(len(at) - 1, dtype=np.uint64)
+    for k in range(len(out)):
+        ones, n = np.zeros(64, dtype=np.int64), at[k + 1] - at[k]
+        for s in range(at[k], at[k + 1], 65536):
+            ones += np.unpackbits(flat[s : min(s + 65536, at[k + 1])], axis=1, bitorder="little").sum(axis=0, dtype=np.int32)
+        out[k] = weights[2 * ones > n].sum(dtype=np.uint64)
+    return out.view(np.int64)
+
+
+def _majority(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         hashes = batch.column(1)
-        at = hashes.offsets.to_numpy()
-        flat = hashes.values.to_numpy(zero_copy_only=False).view(np.uint8).reshape(-1, 8)
-        out = np.zeros(batch.num_rows, dtype=np.uint64)
-        for k in range(batch.num_rows):
-            ones, n = np.zeros(64, dtype=np.int64), at[k + 1] - at[k]
-            for s in range(at[k], at[k + 1], 65536):
-                ones += np.unpackbits(flat[s : min(s + 65536, at[k + 1])], axis=1, bitorder="little").sum(axis=0, dtype=np.int32)
-            out[k] = weights[2 * ones > n].sum(dtype=np.uint64)
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out.view(np.int64))], names=["doc_id", "fp"])
+        fp = majority_bits(hashes.values.to_numpy(zero_copy_only=False), hashes.offsets.to_numpy())
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fp)], names=["doc_id", "fp"])
 
 
 def fingerprints(docs: DataFrame, shingle: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
