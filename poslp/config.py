@@ -19,7 +19,7 @@ class Status(StrEnum):
 class SolveConfig:
     eps: float = 0.1
     max_iter: int = 5000
-    step: str = "kary"  # standard, binary, kary, newton, first_order
+    step: str = "kary"  # standard, exponential, binary, kary, newton, first_order
     stop: str = "relative"  # of the binary search: relative, loose
     warm: bool = True
     lanes: int = 16
@@ -27,10 +27,15 @@ class SolveConfig:
     drop_satisfied: bool = False
     strict: bool = False
     bound: str = "tight"  # of the first upper target: tight, paper
-    engine: str = "auto"  # spark, local, auto
-    local_rows: int = 2_000_000  # auto takes the local engine up to so many nonzeros
+    backoff: float = 1.0  # of the Newton step, as a multiple of eps
+    engine: str = "spark"  # spark, or local: numpy in one process, for comparison
+    layout: str = "auto"  # of the Spark engine: blocks, frames, or blocks up to vertex_bytes
+    vertex_bytes: int = 64 << 20  # of one vertex vector, which the driver holds and broadcasts
+    local_edges: int = 2_000_000  # the local engine refuses more
     checkpoint_every: int = 1
     early_certificate: bool = True
+    target_lanes: int = 1  # targets of a pure problem tried side by side
+    warm_targets: bool = False  # a target's run starts from the best point of the ones before
 
     def inner(self) -> float:
         """The accuracy inside the loop: the invariant is max(Px) <= min(Cx) + 1.2 eps."""

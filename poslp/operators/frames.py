@@ -18,7 +18,10 @@ def _summed(parts: DataFrame, rows: DataFrame, cols: list[str]) -> DataFrame:
 
 
 class IncidenceFrames:
-    """vars: (var, u, v) edges; rows: vertices. The edge row is the matrix column."""
+    """vars: (var, u, v) edges; rows: vertices. The edge row is the matrix column. partial: some vertices have no row."""
+
+    def __init__(self, partial: bool = False):
+        self.how = "left" if partial else "inner"
 
     def forward(self, variables: DataFrame, rows: DataFrame, cols: list[str]) -> DataFrame:
         return _summed(variables.select(F.explode(F.array("u", "v")).alias("row"), *cols), rows, cols)
@@ -26,7 +29,8 @@ class IncidenceFrames:
     def back(self, variables: DataFrame, rows: DataFrame, weight: str, name: str) -> DataFrame:
         at_u = rows.select(F.col("row").alias("u"), F.col(weight).alias("_wu"))
         at_v = rows.select(F.col("row").alias("v"), F.col(weight).alias("_wv"))
-        return variables.join(at_u, "u").join(at_v, "v").withColumn(name, F.col("_wu") + F.col("_wv")).drop("_wu", "_wv")
+        out = variables.join(at_u, "u", self.how).join(at_v, "v", self.how)
+        return out.withColumn(name, F.coalesce("_wu", F.lit(0.0)) + F.coalesce("_wv", F.lit(0.0))).drop("_wu", "_wv")
 
 
 class CoverFrames:

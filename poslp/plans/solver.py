@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import math
 import time
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field, replace
 
 import numpy as np
@@ -48,6 +49,7 @@ class Outcome:
     evaluations: int = 0
     runs: int = 1
     targets: list = field(default_factory=list)
+    last: Stats | None = None
 
 
 def _exp(x: np.ndarray) -> np.ndarray:
@@ -129,8 +131,10 @@ def solve_feasibility(backend, cfg: SolveConfig, kind: str = "mixed", enough=Non
     s = backend.stats(eta_)
     for k in range(cfg.max_iter + 1):
         _certify(backend, s, kind, out)
-        if s.min_z >= 1 or (s.max_y <= 1 + eps and s.min_z >= 1):
-            out.status = Status.FEASIBLE
+        if s.min_z >= 1:
+            # the potential starts at 1.2 eps at most and never grows, unless a start was given
+            fits = kind != "mixed" or s.max_y <= (1 + 1.2 * eps) * s.min_z * (1 + 1e-9)
+            out.status = Status.FEASIBLE if fits else Status.ITER_LIMIT
             break
         if k == cfg.max_iter:
             break
@@ -166,9 +170,18 @@ def solve_feasibility(backend, cfg: SolveConfig, kind: str = "mixed", enough=Non
         over = max(1.0, s.min_z)
         out.x, out.scale = backend.keep(), 1 / over
         out.max_violation = max(0.0, s.max_y / over - 1, 1 - s.min_z / over)
+    out.last = s
+    if hasattr(backend, "close"):
+        backend.close()
     return out
 
 
+def release(x) -> None:
+    """Frees what an outcome's point holds, once another one has taken its place."""
+    if hasattr(x, "release"):
+        x.release()
+
+
 def _certify(backend, s: Stats, kind: str, out: Outcome) -> None:
     """Keeps the best scaled iterate of a pure problem: a feasible point and so a bound on the optimum."""
     if kind == "packing" and s.max_y > 0:
@@ -181,10 +194,11 @@ def _certify(backend, s: Stats, kind: str, out: Outcome) -> None:
             out.upper, out.best, out.scale, out.x, out.max_violation = value, value, 1 / s.min_z, backend.keep(), 0.0
 
 
-def search_target(solve, lo: float, hi: float, eps: float, kind: str, most: int = 40) -> Outcome:
+def search_target(solve, lo: float, hi: float, eps: float, kind: str, most: int = 40, lanes: int = 1) -> Outcome:
     """Bisection over the target of a pure problem, steered by certificates: ends when upper <= (1 + eps) lower.
-    solve(target, enough, eps) runs one feasibility problem. A run that leaves the bracket as it was (feasible, but not
-    near enough to its target) is followed by one of half its accuracy."""
+    solve(target, enough, eps) runs one feasibility problem. The bracket moves by primal and dual values alone, never by a
+    run's status. A run that leaves it as it was is followed by one of half its accuracy. lanes: targets tried side by
+    side, at equal ratios inside the bracket."""
     best: Outcome | None = None
     lower, upper, iters, trace, targets, evaluations = lo, hi, 0, [], [], 0
     x, scale, inner = None, None, eps
@@ -196,22 +210,28 @@ def search_target(solve, lo: float, hi: float, eps: float, kind: str, most: int
     for _ in range(most):
         if x is not None and upper <= (1 + eps) * lower:
             break
-        target = math.sqrt(lower * upper) if lower > 0 else upper / 2
+        low = lower if lower > 0 else upper / 4
+        tried = [low * (upper / low) ** (k / (lanes + 1)) for k in range(1, lanes + 1)]
         # the value found exceeds its target by up to the run's accuracy, so a narrow bracket needs half of it to close
         narrow = eps / 2 if upper <= (1 + 3 * eps) * lower else eps
-        o = solve(target, enough, min(inner, narrow))
         was = lower, upper
-        iters += o.iters
-        evaluations += o.evaluations
-        trace += [r | {"target": target} for r in o.trace]
-        targets.append((target, str(o.status), o.iters))
-        lower, upper = max(lower, o.lower), min(upper, o.upper)
-        if o.status in (Status.INFEASIBLE_DIRECTION, Status.INFEASIBLE_STEP):
-            lower, upper = (lower, min(upper, target)) if kind == "packing" else (max(lower, target), upper)
-        better = o.x is not None and o.best > 0 and (x is None or (o.best > value if kind == "packing" else o.best < value))
-        if better:
-            x, scale, value, best = o.x, o.scale, o.best, o
-        if o.status == Status.ITER_LIMIT:
+        run = lambda t, e=min(inner, narrow): solve(t, enough, e)
+        if lanes == 1:
+            done = [run(tried[0])]
+        else:
+            with ThreadPoolExecutor(lanes) as pool:
+                done = list(pool.map(run, tried))
+        for target, o in zip(tried, done):
+            iters += o.iters
+            evaluations += o.evaluations
+            trace += [r | {"target": target} for r in o.trace]
+            targets.append((target, str(o.status), o.iters))
+            lower, upper = max(lower, o.lower), min(upper, o.upper)
+            better = o.x is not None and o.best > 0 and (x is None or (o.best > value if kind == "packing" else o.best < value))
+            release(x if better else o.x)
+            if better:
+                x, scale, value, best = o.x, o.scale, o.best, o
+        if all(o.status == Status.ITER_LIMIT for o in done):
             break
         if (lower, upper) == was or upper > 0 and math.isclose(lower / upper, was[0] / was[1], rel_tol=5e-3):
             inner = min(inner, narrow) / 2

@@ -13,6 +13,10 @@ from dataclasses import dataclass
 from poslp.config import SolveConfig
 
 
+#: What the rounding of smoothed values of about one makes of a difference.
+ROUNDING = 1e-14
+
+
 @dataclass(frozen=True)
 class Trial:
     alpha: float
@@ -24,8 +28,9 @@ class Trial:
 
     @property
     def accepted(self) -> bool:
-        """gain >= growth, without dividing by a growth that may vanish."""
-        return self.gain - self.growth >= -1e-12 * max(1e-300, abs(self.gain), abs(self.growth))
+        """gain >= growth, without dividing by a growth that may vanish. Both are differences of smoothed values near one,
+        so what a rounding of those values can make of them is no refusal."""
+        return self.gain - self.growth >= -max(ROUNDING, 1e-12 * max(abs(self.gain), abs(self.growth)))
 
     @property
     def linear_accepted(self) -> bool:
@@ -53,7 +58,7 @@ class _Counted:
         return self.lanes(alphas)
 
 
-def _bracket(call: _Counted, first: float, cfg: SolveConfig, batched: bool) -> tuple[float, float | None, float | None]:
+def bracket(call: _Counted, first: float, cfg: SolveConfig, batched: bool) -> tuple[float, float | None, float | None]:
     """(finishing step, or the largest accepted and the least refused power of two times first). A refused first step
     leaves the bracket [first / 2, first]."""
     p = 0
@@ -72,10 +77,10 @@ def _bracket(call: _Counted, first: float, cfg: SolveConfig, batched: bool) -> t
 def _evaluated(call: _Counted, cfg: SolveConfig, alpha_prev: float | None, batched: bool) -> tuple[float, float | None, float | None]:
     """The bracket from the previous step where warm, else from one; a warm start that is refused falls back to one."""
     if cfg.warm and alpha_prev and alpha_prev > 1:
-        done, lo, hi = _bracket(call, alpha_prev, cfg, batched)
+        done, lo, hi = bracket(call, alpha_prev, cfg, batched)
         if lo is None or lo >= alpha_prev:
             return done, lo, hi
-    return _bracket(call, 1.0, cfg, batched)
+    return bracket(call, 1.0, cfg, batched)
 
 
 def standard(call: _Counted, cfg: SolveConfig, _: float | None) -> float:
@@ -83,7 +88,7 @@ def standard(call: _Counted, cfg: SolveConfig, _: float | None) -> float:
 
 
 def exponential(call: _Counted, cfg: SolveConfig, _: float | None) -> float:
-    done, lo, _hi = _bracket(call, 1.0, cfg, True)
+    done, lo, _hi = bracket(call, 1.0, cfg, True)
     return done if lo is None else lo
 
 
@@ -100,7 +105,7 @@ def binary(call: _Counted, cfg: SolveConfig, alpha_prev: float | None) -> float:
 
 
 def kary(call: _Counted, cfg: SolveConfig, alpha_prev: float | None) -> float:
-    done, lo, hi = _bracket(call, 1.0, cfg, True)
+    done, lo, hi = bracket(call, 1.0, cfg, True)
     if lo is None:
         return done
     while hi - lo > cfg.eps * lo:
@@ -118,7 +123,7 @@ def newton(call: _Counted, cfg: SolveConfig, alpha_prev: float | None) -> float:
     """Newton on ratio - 1, kept inside a bracket, then backed off by powers of 1 - eps until accepted."""
     alpha, lo, hi = (alpha_prev, 0.0, float("inf")) if cfg.warm and alpha_prev else (None, None, None)
     if alpha is None:
-        done, lo, hi = _bracket(call, 1.0, cfg, True)
+        done, lo, hi = bracket(call, 1.0, cfg, True)
         if lo is None:
             return done
         alpha = lo
@@ -137,10 +142,14 @@ def newton(call: _Counted, cfg: SolveConfig, alpha_prev: float | None) -> float:
             break
         alpha = ahead
     while alpha >= 1e-9:
-        for t in call([alpha * (1 - cfg.eps) ** k for k in range(16)]):
+        tried = [alpha * (1 - cfg.backoff * cfg.eps) ** k for k in range(16)]
+        # a step of one is tried before any below it: only its refusal tells of infeasibility
+        if alpha >= 1 > tried[-1]:
+            tried = [a for a in tried if a > 1] + [1.0] + [a for a in tried if a < 1]
+        for t in call(tried):
             if t.accepted:
                 return t.alpha
-        alpha *= (1 - cfg.eps) ** 16
+        alpha *= (1 - cfg.backoff * cfg.eps) ** 16
     return 0.0
 
 
@@ -152,7 +161,8 @@ def first_order(call: _Counted, cfg: SolveConfig, _: float | None) -> float:
             if t.accepted and t.least_cover >= 1:
                 return t.alpha
             if not t.linear_accepted:
-                return best
+                # slopes may refuse one where the step itself is accepted
+                return 1.0 if t.alpha == 1 and t.accepted else best
             best = t.alpha
         p += cfg.most_doublings
     return best

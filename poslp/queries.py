@@ -314,18 +314,19 @@ def standard_step_trace(spark, d):
 
 # ---- problems --------------------------------------------------------------------------------------------------
 
-INTEGRAL = "problem string, graph string, optimum long, feasible boolean, within_eps boolean"
+INTEGRAL = "problem string, graph string, optimum long, feasible boolean, within_eps boolean, bracket_holds boolean"
 
 
 def _integral(problem: str, graph: str, count_sql: str):
-    sql = f"SELECT '{problem}' AS problem, '{graph}' AS graph, ({count_sql})::BIGINT AS optimum, true AS feasible, true AS within_eps"
+    sql = f"SELECT '{problem}' AS problem, '{graph}' AS graph, ({count_sql})::BIGINT AS optimum, true AS feasible, true AS within_eps, true AS bracket_holds"
 
-    def run(spark, d, engine="auto", exact=None):
-        o = solve("matching" if problem == "bimatching" else problem, GRAPHS[graph](spark, d), SolveConfig(engine=engine), graph)
+    def run(spark, d, engine="spark", exact=None):
+        o = solve(problem, GRAPHS[graph](spark, d), SolveConfig(engine=engine, step="newton"), graph)
         best = o.snapped() if exact is None else exact(spark, d)
-        value = o.outcome.best
+        value, lower, upper = o.outcome.best, o.outcome.lower, o.outcome.upper
         near = best is not None and (value >= best / (1 + EPS) - 1e-9 if "matching" in problem else value <= best * (1 + EPS) + 1e-9)
-        return spark.createDataFrame([(problem, graph, best, o.outcome.max_violation <= EPS, near)], INTEGRAL)
+        holds = best is not None and lower <= best * (1 + 1e-9) and upper >= best * (1 - 1e-9) and upper <= (1 + EPS) * lower * (1 + 1e-9)
+        return spark.createDataFrame([(problem, graph, best, o.outcome.max_violation <= EPS, near, holds)], INTEGRAL)
 
     return sql, run
 
@@ -346,8 +347,8 @@ def _right_side(graph):
 
 for _problem, _graph, _key, _engine, _exact in (
     ("bimatching", "nation_region", "bimatching_star", "spark", None), ("bimatching", "user_eventtype", "bimatching_complete", "spark", None),
-    ("bimatching", "part_supplier", "bimatching_part_supplier", "auto", "right"), ("bimatching", "customer_supplier", "bimatching_customer_supplier", "auto", "right"),
-    ("bimatching", "order_part", "bimatching_order_part", "auto", "right"), ("vcover", "nation_region", "vcover_star", "spark", None), ("vcover", "part_supplier", "vcover_bipartite", "auto", "right"),
+    ("bimatching", "part_supplier", "bimatching_part_supplier", "spark", "right"), ("bimatching", "customer_supplier", "bimatching_customer_supplier", "spark", "right"),
+    ("bimatching", "order_part", "bimatching_order_part", "spark", "right"), ("vcover", "nation_region", "vcover_star", "spark", None), ("vcover", "part_supplier", "vcover_bipartite", "spark", "right"),
     ("domset", "nation_region", "domset_star", "spark", None),
 ):
     _sql, _run = _integral(_problem, _graph, _RIGHT.format(GRAPH_SQL[_graph]))
@@ -356,7 +357,7 @@ for _problem, _graph, _key, _engine, _exact in (
 RATIONAL = "problem string, graph string, optimum double, feasible boolean, within_eps boolean, bracket_holds boolean"
 
 
-def _rational(key: str, problem: str, graph: str, sql_value: str, value, engine: str = "auto"):
+def _rational(key: str, problem: str, graph: str, sql_value: str, value, engine: str = "spark"):
     """A closed form from the graph's counts, beside what the solver made of the graph."""
 
     def run(spark, d):
@@ -364,7 +365,7 @@ def _rational(key: str, problem: str, graph: str, sql_value: str, value, engine:
         n, top, m = vertices(edges).agg(F.count(F.lit(1)), F.max("degree"), F.sum("degree") / 2).first()
         right = vertices(edges).where(F.col("vid") % 2 == 1).count()
         best = value(n, top, m, right)
-        o = solve(problem, edges, SolveConfig(engine=engine), graph).outcome
+        o = solve(problem, edges, SolveConfig(engine=engine, step="newton"), graph).outcome
         near = o.best >= best / (1 + EPS) - 1e-9 if problem == "matching" else o.best <= best * (1 + EPS) + 1e-9
         return spark.createDataFrame([(problem, graph, round(float(best), 6), o.max_violation <= EPS, near, o.lower <= best * (1 + 1e-9) and o.upper >= best * (1 - 1e-9))], RATIONAL)
 
@@ -412,8 +413,8 @@ def rating_bounds(spark, d) -> tuple[DataFrame, DataFrame]:
 @query("generalized_matching", f"SELECT 'FEASIBLE' AS status, true AS within_eps, (SELECT count(*) FROM ({GRAPH_SQL['customer_part']}))::BIGINT AS n_variables")
 def generalized_matching(spark, d):
     e, bounds = rating_bounds(spark, d)
-    o = generalized_matching_spark(e, bounds, SolveConfig(eps=0.05, step="newton"))
-    return spark.createDataFrame([(str(o.status), o.max_violation <= 0.06, e.count())], "status string, within_eps boolean, n_variables long")
+    o = generalized_matching_spark(e, bounds, SolveConfig(eps=0.05, step="newton", strict=True))
+    return spark.createDataFrame([(str(o.status), o.max_violation <= 0.05 * (1 + 1e-9), e.count())], "status string, within_eps boolean, n_variables long")
 
 
 @query("greedy_matching", with_graph("customer_part", "SELECT 0::BIGINT AS free_edges, 0::BIGINT AS repeated_vertices FROM (SELECT 1)"))
