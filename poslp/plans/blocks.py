@@ -291,11 +291,11 @@ class NeighbourBackend(LocalBackend):
     """Dominating set: all vectors are vertex vectors, products are jobs."""
 
     def __init__(self, blocks: EdgeBlocks, packing):
-        super().__init__(packing, NeighbourProduct(blocks))
+        super().__init__(packing, NeighbourProduct(blocks), unit=True)
         self.blocks = blocks
 
-    def keep(self) -> VertexValues:
-        return VertexValues(self.blocks, self.x.copy())
+    def keep(self, x: np.ndarray | None = None) -> VertexValues:
+        return VertexValues(self.blocks, self.x.copy() if x is None else x)
 
 
 class EdgeState:
@@ -445,6 +445,8 @@ class _EdgeRows(LocalBackend):
 class CoverBackend(_EdgeRows):
     """Vertex cover: variables are vertices."""
 
+    unit = True
+
     def __init__(self, blocks: EdgeBlocks, target: float):
         self.blocks, self.target, self.one_row = blocks, target, True
         self.rows, self.nnz = blocks.m + 1, 2 * blocks.m
@@ -461,7 +463,7 @@ class CoverBackend(_EdgeRows):
     def direction(self, eta_: float, s: Stats, scale: float) -> Direction:
         begun = time.perf_counter()
         h = self.blocks.sums(CoverWeights, self.blocks.table, x=self.x, eta=eta_, lse=s.lse_z, dropping=self.dropping)[0]
-        g = 1 / self.target
+        g, self.h = 1 / self.target, h
         self.d = np.where(h > 0, np.maximum(0.0, 1 - g / np.where(h > 0, h, 1)), 0.0) * self.x * scale / (2 * eta_)
         self.sum_d = float(self.d.sum())
         self.dy = np.array([self.sum_d / self.target])
@@ -469,11 +471,12 @@ class CoverBackend(_EdgeRows):
         return Direction(float(self.d.max()), self.sum_d, g, float(h.max()))
 
     def advance(self, alpha: float) -> None:
+        self._average(alpha * self.sum_d)
         self.x = self.x + alpha * self.d
         self._moved(alpha)
 
-    def keep(self) -> VertexValues:
-        return VertexValues(self.blocks, self.x.copy())
+    def keep(self, x: np.ndarray | None = None) -> VertexValues:
+        return VertexValues(self.blocks, self.x.copy() if x is None else x)
 
 
 class SplitBackend(_EdgeRows):

@@ -178,7 +178,7 @@ def solve_local(problem: str, u: np.ndarray, v: np.ndarray, n: int, cfg: SolveCo
         op = form(Incidence(u, v, n))
         return solve_pure(problem, lambda t: LocalBackend(op, ObjectiveRow(m, t)), bracket, cfg)
     op = form(Transposed(Incidence(u, v, n)) if problem == "vcover" else ClosedNeighbourhood(u, v, n))
-    return solve_pure(problem, lambda t: LocalBackend(ObjectiveRow(n, t), op), bracket, cfg)
+    return solve_pure(problem, lambda t: LocalBackend(ObjectiveRow(n, t), op, unit=True), bracket, cfg)
 
 
 def level_density(u: np.ndarray, v: np.ndarray, n: int, load: np.ndarray) -> float:

@@ -58,10 +58,12 @@ def _exp(x: np.ndarray) -> np.ndarray:
 
 
 class LocalBackend:
-    """numpy vectors of one process. packing and covering have apply and apply_t."""
+    """numpy vectors of one process. packing and covering have apply and apply_t; unit: the covering entries are all one."""
 
-    def __init__(self, packing, covering):
-        self.p, self.c = packing, covering
+    unit, h, prices, progress = False, None, None, 0.0
+
+    def __init__(self, packing, covering, unit: bool = False):
+        self.p, self.c, self.unit = packing, covering, unit
         self.rows = packing.shape[0] + covering.shape[0]
         self.one_row = min(packing.shape[0], covering.shape[0]) == 1
         self.nnz = packing.nnz + covering.nnz
@@ -86,6 +88,7 @@ class LocalBackend:
         self.wc = np.where(self.active, _exp(-eta_ * (self.z - s.lse_z)), 0.0)
         v = time.perf_counter()
         g, h = self.p.apply_t(self.wp), self.c.apply_t(self.wc)
+        self.h = h if self.p.shape[0] == 1 else None
         m = time.perf_counter()
         gain = np.where(h > 0, 1 - g / np.where(h > 0, h, 1), 0.0)
         self.d = np.maximum(0.0, gain) * self.x * scale / (2 * eta_)
@@ -107,16 +110,31 @@ class LocalBackend:
         return out
 
     def advance(self, alpha: float) -> None:
+        self._average(alpha * float(self.d.sum()))
         self.x = self.x + alpha * self.d
         self.y = self.y + alpha * self.dy
         self.z = self.z + alpha * self.dz
 
+    def _average(self, progress: float) -> None:
+        """Covering prices, averaged by the objective that each iteration adds."""
+        if self.h is not None:
+            self.prices = progress * self.h + (0 if self.prices is None else self.prices)
+            self.progress += progress
+
+    def average_bound(self) -> float:
+        """Averages of weights are weights, so their prices bound a covering optimum from below as any others do."""
+        return self.progress / float(self.prices.max()) if self.prices is not None and self.prices.max() > 0 else 0.0
+
+    def capped(self, least: float) -> np.ndarray | None:
+        """A cover's values beyond one do nothing where all entries are zero or one."""
+        return np.minimum(1.0, self.x / least) if self.unit else None
+
     def drop(self) -> int:
         self.active &= self.z < 1
         return int(self.active.sum())
 
-    def keep(self):
-        return self.x.copy()
+    def keep(self, x: np.ndarray | None = None):
+        return self.x.copy() if x is None else x
 
 
 def solve_feasibility(backend, cfg: SolveConfig, kind: str = "mixed", enough=None, x0=None) -> Outcome:
@@ -142,7 +160,7 @@ def solve_feasibility(backend, cfg: SolveConfig, kind: str = "mixed", enough=Non
         if kind == "packing" and d.min_g > 0:
             out.upper = min(out.upper, 1 / d.min_g)
         if kind == "covering" and d.max_h > 0:
-            out.lower = max(out.lower, 1 / d.max_h)
+            out.lower = max(out.lower, 1 / d.max_h, backend.average_bound() if hasattr(backend, "average_bound") else 0.0)
         if d.max_d <= 0:
             out.status = Status.INFEASIBLE_DIRECTION
             break
@@ -189,9 +207,11 @@ def _certify(backend, s: Stats, kind: str, out: Outcome) -> None:
         if value > out.lower:
             out.lower, out.best, out.scale, out.x, out.max_violation = value, value, 1 / s.max_y, backend.keep(), 0.0
     if kind == "covering" and s.min_z > 0:
-        value = s.sum_x / s.min_z
+        capped = backend.capped(s.min_z) if hasattr(backend, "capped") else None
+        value = s.sum_x / s.min_z if capped is None else float(capped.sum())
         if value < out.upper:
-            out.upper, out.best, out.scale, out.x, out.max_violation = value, value, 1 / s.min_z, backend.keep(), 0.0
+            out.upper, out.best, out.max_violation = value, value, 0.0
+            out.x, out.scale = (backend.keep(), 1 / s.min_z) if capped is None else (backend.keep(capped), 1.0)
 
 
 def search_target(solve, lo: float, hi: float, eps: float, kind: str, most: int = 40, lanes: int = 1) -> Outcome:

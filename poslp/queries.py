@@ -321,7 +321,7 @@ def _integral(problem: str, graph: str, count_sql: str):
     sql = f"SELECT '{problem}' AS problem, '{graph}' AS graph, ({count_sql})::BIGINT AS optimum, true AS feasible, true AS within_eps, true AS bracket_holds"
 
     def run(spark, d, engine="spark", exact=None):
-        o = solve(problem, GRAPHS[graph](spark, d), SolveConfig(engine=engine, step="newton"), graph)
+        o = solve(problem, GRAPHS[graph](spark, d), SolveConfig(engine=engine), graph)
         best = o.snapped() if exact is None else exact(spark, d)
         value, lower, upper = o.outcome.best, o.outcome.lower, o.outcome.upper
         near = best is not None and (value >= best / (1 + EPS) - 1e-9 if "matching" in problem else value <= best * (1 + EPS) + 1e-9)
@@ -365,7 +365,7 @@ def _rational(key: str, problem: str, graph: str, sql_value: str, value, engine:
         n, top, m = vertices(edges).agg(F.count(F.lit(1)), F.max("degree"), F.sum("degree") / 2).first()
         right = vertices(edges).where(F.col("vid") % 2 == 1).count()
         best = value(n, top, m, right)
-        o = solve(problem, edges, SolveConfig(engine=engine, step="newton"), graph).outcome
+        o = solve(problem, edges, SolveConfig(engine=engine), graph).outcome
         near = o.best >= best / (1 + EPS) - 1e-9 if problem == "matching" else o.best <= best * (1 + EPS) + 1e-9
         return spark.createDataFrame([(problem, graph, round(float(best), 6), o.max_violation <= EPS, near, o.lower <= best * (1 + 1e-9) and o.upper >= best * (1 - 1e-9))], RATIONAL)
 
