@@ -8,18 +8,19 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from poslp.plans.shared import materialise
+from poslp.plans.shared import discard, materialise
 
 
-def greedy_matching(edges: DataFrame, most: int = 500) -> DataFrame:
-    """A maximal matching (u, v). Each round every vertex proposes along its edge to the least-degree neighbour (vertices
+def greedy_matching(edges: DataFrame) -> DataFrame:
+    """A maximal matching (u, v), in as many rounds as it takes: each removes the least of all edges at least. Each round every vertex proposes along its edge to the least-degree neighbour (vertices
     of degree one come first by that rule); edges that both ends propose are taken, and their vertices leave."""
-    left, taken = edges.select("u", "v"), None
-    for _ in range(most):
+    left, taken, rounds = edges.select("u", "v"), None, []
+    while True:
         ends = left.select(F.explode(F.array("u", "v")).alias("vid")).groupBy("vid").agg(F.count(F.lit(1)).alias("d"))
         ends = materialise(ends, "left-degrees")
         if not ends.limit(1).count():
             break
+        before = left
         ranked = left.join(ends.select(F.col("vid").alias("u"), F.col("d").alias("du")), "u").join(ends.select(F.col("vid").alias("v"), F.col("d").alias("dv")), "v")
         key = F.struct((F.least("du", "dv")).alias("a"), (F.col("du") + F.col("dv")).alias("b"), F.xxhash64("u", "v").alias("h"), F.col("u").alias("x"), F.col("v").alias("y"))
         ranked = ranked.select("u", "v", key.alias("k"))
@@ -30,20 +31,27 @@ def greedy_matching(edges: DataFrame, most: int = 500) -> DataFrame:
         busy = new.select(F.explode(F.array("u", "v")).alias("vid"))
         left = left.join(busy.withColumnRenamed("vid", "u"), "u", "left_anti").join(busy.withColumnRenamed("vid", "v"), "v", "left_anti")
         left = materialise(left, "left-edges")
+        rounds.append(new)
+        if len(rounds) >= 16:  # few and large tables in place of many small ones
+            taken = materialise(taken, "taken")
+            discard(*rounds)
+            rounds = [taken]
+        discard(before, ends)
     return taken if taken is not None else edges.select("u", "v").limit(0)
 
 
-def augmenting_matching(edges: DataFrame, most: int = 1000) -> DataFrame:
+def augmenting_matching(edges: DataFrame) -> DataFrame:
     """A maximum matching (l, r) of a two-sided graph with even left and odd right vertices.
 
     From all free left vertices at once, layers alternate between unmatched and matched edges; each right vertex is
     reached once, by the parent of least id. The first layers that reach free right vertices give paths; of the paths
     of one root and of those that share a vertex one is kept, and they are flipped. When none is left, no augmenting
-    path exists."""
+    path exists; each phase adds an edge at least, so phases end by themselves."""
     sided = materialise(edges.select(F.when(F.col("u") % 2 == 0, F.col("u")).otherwise(F.col("v")).alias("l"), F.when(F.col("u") % 2 == 0, F.col("v")).otherwise(F.col("u")).alias("r")), "sided")
     first = greedy_matching(edges)
     match = materialise(first.select(F.when(F.col("u") % 2 == 0, F.col("u")).otherwise(F.col("v")).alias("l"), F.when(F.col("u") % 2 == 0, F.col("v")).otherwise(F.col("u")).alias("r")), "match")
-    for _ in range(most):
+    while True:
+        layers, old = [], match
         front = sided.select("l").distinct().join(match, "l", "left_anti").select("l", F.col("l").alias("root"), F.array().cast("array<struct<l:bigint,r:bigint>>").alias("path"))
         seen = match.select("r").limit(0)
         found = None
@@ -51,6 +59,7 @@ def augmenting_matching(edges: DataFrame, most: int = 1000) -> DataFrame:
             reach = sided.join(front, "l").join(seen, "r", "left_anti")
             reach = reach.groupBy("r").agg(F.min(F.struct("l", "root", "path")).alias("p")).select("r", "p.root", F.concat("p.path", F.array(F.struct(F.col("p.l").alias("l"), F.col("r")))).alias("path"))
             reach = materialise(reach, "reach")
+            layers.append(reach)
             if not reach.limit(1).count():
                 break
             ends = reach.join(match, "r", "left_anti")
@@ -58,6 +67,7 @@ def augmenting_matching(edges: DataFrame, most: int = 1000) -> DataFrame:
                 found = ends.groupBy("root").agg(F.min(F.struct("r", "path")).alias("p")).select("p.path")
                 break
             seen = materialise(seen.unionByName(reach.select("r")), "seen")
+            layers.append(seen)
             front = reach.join(match, "r").select("l", "root", "path")
         if found is None:
             break
@@ -65,6 +75,7 @@ def augmenting_matching(edges: DataFrame, most: int = 1000) -> DataFrame:
         new = materialise(found.select(F.explode("path").alias("e")).select("e.l", "e.r"), "flipped")
         kept = match.join(new.select("r"), "r", "left_anti").select("l", "r").join(new.select("l"), "l", "left_anti").select("l", "r")
         match = materialise(kept.unionByName(new), "match")
+        discard(old, new, *layers)
     return match
 
 

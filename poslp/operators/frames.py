@@ -90,14 +90,14 @@ class CooFrames:
     """Explicit entries (row, var, val)."""
 
     def __init__(self, entries: DataFrame):
-        self.entries = entries.select("row", "var", "val")
+        self.entries = entries.select("row", "var", F.col("val").alias("_a"))  # columns of vectors may be called val
 
     def forward(self, variables: DataFrame, rows: DataFrame, cols: list[str]) -> DataFrame:
-        sent = self.entries.join(variables.select("var", *cols), "var").select("row", *[(F.col("val") * F.col(c)).alias(c) for c in cols])
+        sent = self.entries.join(variables.select("var", *cols), "var").select("row", *[(F.col("_a") * F.col(c)).alias(c) for c in cols])
         return _summed(sent, rows, cols)
 
     def back(self, variables: DataFrame, rows: DataFrame, weight: str, name: str) -> DataFrame:
-        sent = self.entries.join(rows.select("row", F.col(weight).alias(name)), "row").groupBy("var").agg(F.sum(F.col("val") * F.col(name)).alias(name))
+        sent = self.entries.join(rows.select("row", F.col(weight).alias(name)), "row").groupBy("var").agg(F.sum(F.col("_a") * F.col(name)).alias(name))
         return variables.drop(name).join(sent, "var", "left").fillna(0.0, [name])
 
 

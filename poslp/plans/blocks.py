@@ -277,6 +277,70 @@ class NeighbourProduct:
         return np.ones(self.blocks.n)
 
 
+class RowSums(_Sums):
+    def add(self, _, row, col, a) -> None:
+        self.out += np.bincount(row, weights=a * self.shared["x"][col], minlength=len(self.out))
+
+
+class ColumnSums(_Sums):
+    def add(self, _, row, col, a) -> None:
+        self.out += np.bincount(col, weights=a * self.shared["x"][row], minlength=len(self.out))
+
+
+class EntryProduct(EdgeBlocks):
+    """An explicit matrix of entries (row, var, val) as blocks, with the interface of a local operator; rows and columns:
+    their keys in order, both of a checked size."""
+
+    def __init__(self, entries: DataFrame, rows: np.ndarray, columns: np.ndarray):
+        self.spark, self.m = entries.sparkSession, entries.count()
+        self.shape, self.nnz = (len(rows), len(columns)), self.m
+        self.side = max(1, math.isqrt(max(1, -(-self.m // BLOCK_EDGES))))
+        shared = self.share({"rows": rows, "columns": columns})
+
+        def index(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                at = [np.searchsorted(shared.value[k], b.column(i).to_numpy()) for i, k in enumerate(("rows", "columns"))]
+                yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(x) for x in at), b.column(2)], names=["eid", "u", "v", "a"])
+
+        placed = entries.select("row", "var", "val")
+        placed = placed.coalesce(1) if self.side == 1 else grid2d(placed.withColumnsRenamed({"row": "u", "var": "v"}), self.side**2).select("u", "v", "val")
+        self.table = materialise(placed.mapInArrow(index, "eid long, u long, v long, a double"), "entry-blocks")
+
+    def apply(self, x: np.ndarray) -> np.ndarray:
+        self.n = self.shape[0]
+        return self.sums(RowSums, self.table, x=x)[0]
+
+    def apply_t(self, w: np.ndarray) -> np.ndarray:
+        self.n = self.shape[1]
+        return self.sums(ColumnSums, self.table, x=w)[0]
+
+    def col_max(self) -> np.ndarray:
+        top = self.table.groupBy("v").agg(F.max("a").alias("a")).toArrow()  # one row a column
+        out = np.zeros(self.shape[1])
+        out[top.column("v").to_numpy()] = top.column("a").to_numpy()
+        return out
+
+
+class ColumnBackend(LocalBackend):
+    """Row and column vectors on the driver, products by jobs; columns: the keys of the variables."""
+
+    def __init__(self, packing, covering, columns: np.ndarray):
+        super().__init__(packing, covering)
+        self.columns = columns
+        self.spark = next(o.spark for o in (packing, covering) if isinstance(o, EntryProduct))
+
+    def keep(self, x: np.ndarray | None = None) -> KeyedValues:
+        return KeyedValues(self.spark, self.columns, self.x.copy())
+
+
+class KeyedValues:
+    def __init__(self, spark, keys: np.ndarray, x: np.ndarray):
+        self.spark, self.keys, self.x = spark, keys, x
+
+    def frame(self) -> DataFrame:
+        return self.spark.createDataFrame(pa.table({"var": pa.array(self.keys), "x": pa.array(self.x)}))
+
+
 class VertexValues:
     """Vertex variables of an outcome, held as one array of a checked size."""
 

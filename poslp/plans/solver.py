@@ -227,11 +227,18 @@ def search_target(solve, lo: float, hi: float, eps: float, kind: str, most: int
     def enough(a: float, b: float) -> bool:
         return min(b, upper) <= (1 + eps) * max(a, lower) and ((kind == "packing" and a * (1 + eps) >= min(b, upper)) or (kind == "covering" and b <= (1 + eps) * max(a, lower)))
 
+    def closed() -> bool:
+        """The point itself is near enough, not only the bracket, whose ends may be bounds that no point stands for."""
+        return x is not None and (upper <= (1 + eps) * value * (1 + 1e-12) if kind == "packing" else value <= (1 + eps) * lower * (1 + 1e-12))
+
     for _ in range(most):
-        if x is not None and upper <= (1 + eps) * lower:
+        if closed():
             break
         low = lower if lower > 0 else upper / 4
         tried = [low * (upper / low) ** (k / (lanes + 1)) for k in range(1, lanes + 1)]
+        if upper <= (1 + eps) * lower:
+            # what is left is to find a point, at a target with room to spare
+            tried, inner = [lower / (1 + eps / 2) if kind == "packing" else upper * (1 + eps / 2)], min(inner, eps / 3)
         # the value found exceeds its target by up to the run's accuracy, so a narrow bracket needs half of it to close
         narrow = eps / 2 if upper <= (1 + 3 * eps) * lower else eps
         was = lower, upper
@@ -255,9 +262,9 @@ def search_target(solve, lo: float, hi: float, eps: float, kind: str, most: int
             break
         if (lower, upper) == was or upper > 0 and math.isclose(lower / upper, was[0] / was[1], rel_tol=5e-3):
             inner = min(inner, narrow) / 2
-    closed = x is not None and upper <= (1 + eps) * lower * (1 + 1e-12)
+    done = closed()
     out = replace(best) if best else Outcome(Status.ITER_LIMIT, 0, [])
-    out.status = Status.FEASIBLE if closed else Status.ITER_LIMIT
+    out.status = Status.FEASIBLE if done else Status.ITER_LIMIT
     out.iters, out.trace, out.targets, out.evaluations, out.runs = iters, trace, targets, evaluations, len(targets)
     out.lower, out.upper, out.best, out.x, out.scale = lower, upper, value, x, scale
     return out

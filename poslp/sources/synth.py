@@ -82,13 +82,14 @@ def random_binary(m: int, n: int, p: float, seed: int = 1):
 
 
 def from_edge_file(spark: SparkSession, location: str, fmt: str = "mtx") -> DataFrame:
-    """Edges of a coordinate file (mtx: two header lines that begin with % or hold the sizes), csv or parquet."""
+    """Edges of a coordinate file (mtx: comments that begin with %, one line of sizes, then entries), csv or parquet."""
     if fmt == "parquet":
         return canonical(spark.read.parquet(location))
     if fmt == "csv":
         return canonical(spark.read.schema("u long, v long").csv(location))
-    lines = spark.read.text(location).where(~F.col("value").startswith("%"))
-    parts = lines.select(F.split(F.trim("value"), r"\s+").alias("p"))
-    # the size line names rows, columns and entries; entries of a pattern file have two fields
-    entries = parts.where((F.size("p") == 2) | (F.col("p")[2].rlike(r"[.eE]")))
+    lines = spark.read.text(location).select(F.trim("value").alias("line"), F.col("_metadata.file_path").alias("file"), F.monotonically_increasing_id().alias("at"))
+    lines = lines.where(~F.col("line").startswith("%") & (F.col("line") != ""))
+    # ids rise along a file's splits, so the first line of each file that is no comment holds its sizes
+    sizes = lines.groupBy("file").agg(F.min("at").alias("at")).select("at")
+    entries = lines.join(sizes, "at", "left_anti").select(F.split("line", r"\s+").alias("p"))
     return canonical(entries.select(F.col("p")[0].cast("long").alias("u"), F.col("p")[1].cast("long").alias("v")))

@@ -31,9 +31,10 @@ def session_edges(stream: DataFrame, gap: str = "30 minutes", watermark: str = "
     return counted.select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), "user_id", "n")
 
 
-def unique_edges(stream: DataFrame, watermark: str = "1 hour") -> DataFrame:
-    """(ts, user_id, event_type): the first row of each edge within the watermark."""
-    return stream.select("ts", "user_id", "event_type").withWatermark("ts", watermark).dropDuplicatesWithinWatermark(["user_id", "event_type"])
+def unique_edges(stream: DataFrame, watermark: str = "1 hour", width: str = "1 day") -> DataFrame:
+    """(ts, start, user_id, event_type): the first row of each edge in each window; the watermark bounds the state."""
+    rows = stream.select("ts", F.window("ts", width)["start"].alias("start"), "user_id", "event_type")
+    return rows.withWatermark("ts", watermark).dropDuplicatesWithinWatermark(["start", "user_id", "event_type"])
 
 
 def solve_windows(batch: DataFrame, problem: str = "bimatching", cfg: SolveConfig | None = None) -> DataFrame:
