@@ -121,9 +121,9 @@ def _maker(lp: PositiveLp, cfg: SolveConfig):
     return frames
 
 
-def _searched(lp: PositiveLp, cfg: SolveConfig, lo: float, hi: float, kind: str) -> Outcome:
+def _searched(lp: PositiveLp, cfg: SolveConfig, lo: float, hi: float, kind: str, point: Outcome | None = None) -> Outcome:
     make = _maker(lp, cfg)
-    return search_target(lambda t, en, e: solve_feasibility(make(t), replace(cfg, eps=e), kind, en), lo, hi, cfg.eps, kind, lanes=cfg.target_lanes)
+    return search_target(lambda t, en, e: solve_feasibility(make(t), replace(cfg, eps=e), kind, en), lo, hi, cfg.eps, kind, lanes=cfg.target_lanes, point=point)
 
 
 def solve_mixed(lp: PositiveLp, cfg: SolveConfig) -> Outcome:
@@ -143,9 +143,12 @@ def solve_covering(lp: PositiveLp, cfg: SolveConfig) -> Outcome:
     """min sum(x), Cx >= 1. The hardest row asks 1 / its largest entry; serving each row by its best variable is enough."""
     if lp.infeasible:
         return Outcome(Status.INFEASIBLE_DIRECTION, 0, [], math.inf, math.inf, math.inf)
-    each = lp.covering.groupBy("row").agg((1 / F.max("val")).alias("need"))
+    each = lp.covering.groupBy("row").agg((1 / F.max("val")).alias("need"), F.max_by("var", F.struct("val", "var")).alias("var"))
     lo, hi = each.agg(F.max("need"), F.sum("need")).first()
-    return Outcome(Status.FEASIBLE, 0, [], 0.0, 0.0, 0.0) if lo is None else _searched(lp, cfg, lo, hi, "covering")
+    if lo is None:
+        return Outcome(Status.FEASIBLE, 0, [], 0.0, 0.0, 0.0)
+    served = materialise(each.groupBy("var").agg(F.sum("need").alias("x")), "served")
+    return _searched(lp, cfg, lo, hi, "covering", Outcome(Status.FEASIBLE, 0, [], lo, hi, hi, served, 1.0, 0.0))
 
 
 def solve_mixed_optimum(lp: PositiveLp, cfg: SolveConfig, most: int = 30) -> Outcome:

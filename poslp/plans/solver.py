@@ -214,15 +214,17 @@ def _certify(backend, s: Stats, kind: str, out: Outcome) -> None:
             out.x, out.scale = (backend.keep(), 1 / s.min_z) if capped is None else (backend.keep(capped), 1.0)
 
 
-def search_target(solve, lo: float, hi: float, eps: float, kind: str, most: int = 40, lanes: int = 1) -> Outcome:
+def search_target(solve, lo: float, hi: float, eps: float, kind: str, most: int = 40, lanes: int = 1, point: Outcome | None = None) -> Outcome:
     """Bisection over the target of a pure problem, steered by certificates: ends when upper <= (1 + eps) lower.
     solve(target, enough, eps) runs one feasibility problem. The bracket moves by primal and dual values alone, never by a
     run's status. A run that leaves it as it was is followed by one of half its accuracy. lanes: targets tried side by
-    side, at equal ratios inside the bracket."""
-    best: Outcome | None = None
+    side, at equal ratios inside the bracket. point: a feasible point to begin with, by its best, x and scale."""
+    best = point
     lower, upper, iters, trace, targets, evaluations = lo, hi, 0, [], [], 0
     x, scale, inner = None, None, eps
     value = lo if kind == "packing" else hi
+    if point is not None:
+        x, scale, value = point.x, point.scale, point.best
 
     def enough(a: float, b: float) -> bool:
         return min(b, upper) <= (1 + eps) * max(a, lower) and ((kind == "packing" and a * (1 + eps) >= min(b, upper)) or (kind == "covering" and b <= (1 + eps) * max(a, lower)))
