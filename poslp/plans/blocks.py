@@ -27,7 +27,9 @@ from poslp.plans.solver import Direction, LocalBackend, Stats, _exp
 from poslp.plans.steps import Trial
 
 #: Edges to a block, about.
-BLOCK_EDGES = 1 << 21
+BLOCK_EDGES = 1 << 17
+#: Partial sums of all blocks up to which they are added on the driver, without a shuffle.
+FEW_SUMS = 1 << 20
 #: Iterations replayed at most, and the bytes of their weights.
 REPLAY = 32
 REPLAY_BYTES = 256 << 20
@@ -229,9 +231,9 @@ class EdgeBlocks:
         held = self.share(shared | {"n": self.n})
         try:
             parts = table.mapInArrow(_over(kernel, held), SUMS)
-            if self.side > 1:
+            if self.side > 1 and self.side**2 * self.n > FEW_SUMS:
                 parts = parts.groupBy("i").agg(F.sum("s").alias("s"), F.max("top").alias("top"), F.min("low").alias("low"), F.max("most").alias("most"))
-            got = parts.toArrow()  # one row a vertex, of a checked size, from each task of a single block
+            got = parts.toArrow()  # a row a vertex, of a checked size; from each block while those are few
         finally:
             held.destroy()
         i, s = got.column("i").to_numpy(), got.column("s").to_numpy()
