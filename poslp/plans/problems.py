@@ -81,12 +81,13 @@ class Bracket:
     n: int
     top: int
     fair: float  # the sum over edges of 1 / (the greater degree of its ends): a fractional matching
+    side: float = math.inf  # vertices of the smaller side, where edges join even and odd numbers
 
     def of(self, problem: str, bound: str) -> tuple[float, float]:
         if problem in ("matching", "bimatching"):
-            return self.fair, float(self.m) if bound == "paper" else min(float(self.m), self.n / 2)
+            return self.fair, float(self.m) if bound == "paper" else min(float(self.m), self.n / 2, self.side)
         if problem == "vcover":
-            return self.fair, self.n / 2
+            return self.fair, min(self.n / 2, self.side)
         if problem == "domset":
             return self.n / (self.top + 1), float(self.n)
         raise ValueError(problem)
@@ -214,10 +215,12 @@ def fits(n: int, cfg: SolveConfig) -> bool:
 
 def graph_bracket(edges: DataFrame, verts: DataFrame) -> Bracket:
     """From the written tables of edges and vertices with degrees."""
-    n, top = verts.agg(F.count(F.lit(1)), F.max("degree")).first()
+    odd = F.col("vid") % 2 != 0
+    n, top, right = verts.agg(F.count(F.lit(1)), F.max("degree"), F.count_if(odd)).first()
     at = lambda c: verts.select(F.col("vid").alias(c), F.col("degree").alias(f"_{c}"))
-    m, fair = edges.join(at("u"), "u").join(at("v"), "v").agg(F.count(F.lit(1)), F.sum(1 / F.greatest("_u", "_v"))).first()
-    return Bracket(m, n, top, fair)
+    sums = F.count(F.lit(1)), F.sum(1 / F.greatest("_u", "_v")), F.count_if((F.col("u") + F.col("v")) % 2 == 0)
+    m, fair, same = edges.join(at("u"), "u").join(at("v"), "v").agg(*sums).first()
+    return Bracket(m, n, top, fair, math.inf if same else float(min(right, n - right)))
 
 
 def edge_blocks(edges: DataFrame, verts: DataFrame) -> EdgeBlocks:
