@@ -15,14 +15,14 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    from poslp import queries_lp, queries_more, queries_steps  # noqa: F401  register their queries
+    from poslp import queries_lp, queries_more, queries_steps, queries_tools  # noqa: F401  register their queries
     from poslp.queries import QUERIES
 
     return dict(QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
-    from poslp import queries_lp, queries_more, queries_steps  # noqa: F401
+    from poslp import queries_lp, queries_more, queries_steps, queries_tools  # noqa: F401
     from poslp.queries import SQL
 
     return dict(SQL)

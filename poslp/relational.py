@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -47,3 +47,36 @@ def interval_join(left: DataFrame, right: DataFrame, on: str, seconds: int) -> D
     b = right.select(*[F.col(c).alias(f"other_{c}") for c in right.columns], F.explode(F.array(bucket - 1, bucket, bucket + 1)).alias("_b"))
     near = F.abs(at(on) - at(f"other_{on}")) < seconds
     return a.join(b, "_b").where(near).drop("_b")
+
+
+def sets_report(df: DataFrame, sets: list[list[str]], *aggs: Column) -> DataFrame:
+    """Totals of the named sets of dimensions, and of no others."""
+    dims = list(dict.fromkeys(c for one in sets for c in one))
+    return df.groupingSets([[F.col(c) for c in one] for one in sets], *dims).agg(*aggs, F.grouping_id().alias("level"))
+
+
+def to_long(df: DataFrame, keys: list[str], values: list[str], name: str, value: str) -> DataFrame:
+    return df.unpivot(keys, values, name, value)
+
+
+def set_intersection(a: DataFrame, b: DataFrame) -> DataFrame:
+    return a.select(*sorted(a.columns)).intersect(b.select(*sorted(a.columns)))
+
+
+def salted_sum(df: DataFrame, key: str, value: str, salts: int = 32, *spread: str) -> DataFrame:
+    """(key, value) sums in two steps, for sums of which a map-side part would not shrink: first by key and a salt of the
+    spread columns, so that no task holds a whole hot key, then by key."""
+    salt = F.pmod(F.xxhash64(*(spread or df.columns)), F.lit(salts))
+    part = df.groupBy(key, salt.alias("_salt")).agg(F.sum(value).alias(value))
+    return part.groupBy(key).agg(F.sum(value).alias(value))
+
+
+def observed(df: DataFrame, *metrics: Column) -> tuple[DataFrame, Observation]:
+    """df and counters that the first action on it fills, without a job of their own."""
+    seen = Observation()
+    return df.observe(seen, *metrics), seen
+
+
+def sketched_degrees(edges: DataFrame, by: str, of: str, error: float = 0.02) -> DataFrame:
+    """Distinct partners by a sketch of bounded size."""
+    return edges.groupBy(by).agg(F.approx_count_distinct(of, error).alias("partners"))
