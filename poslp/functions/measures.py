@@ -6,7 +6,7 @@ import math
 import time
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 LIMIT = 4 * 3600.0
@@ -77,3 +77,16 @@ def comm_ratio(compute_s: float, fetch_s: float) -> float:
 def stored_entries(op) -> int:
     """Numbers kept for an operator: two per column of an implicit incidence, three per explicit entry."""
     return 2 * op.shape[1] if type(op).__name__ == "Incidence" else 3 * op.nnz
+
+
+def total_work(outcome, entries: int) -> int:
+    """Matrix entries touched by a solve: each iteration multiplies by both matrices and their transposes once; trial steps
+    touch none."""
+    return 4 * entries * outcome.iters
+
+
+def shuffled_bytes(spark: SparkSession, settle: float = 0.3) -> int:
+    """Written to shuffles by this application so far. Counters arrive with a delay, for which it waits."""
+    time.sleep(settle)
+    held = spark.sparkContext._jsc.sc().statusStore().executorList(False)
+    return sum(held.apply(i).totalShuffleWrite() for i in range(held.size()))

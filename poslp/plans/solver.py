@@ -214,6 +214,10 @@ def _certify(backend, s: Stats, kind: str, out: Outcome) -> None:
             out.x, out.scale = (backend.keep(), 1 / s.min_z) if capped is None else (backend.keep(capped), 1.0)
 
 
+#: A search ends open once its runs would need an accuracy so many times finer than its own.
+MOST_ACCURACY = 256
+
+
 def search_target(solve, lo: float, hi: float, eps: float, kind: str, most: int = 40, lanes: int = 1, point: Outcome | None = None) -> Outcome:
     """Bisection over the target of a pure problem, steered by certificates: ends when upper <= (1 + eps) lower.
     solve(target, enough, eps) runs one feasibility problem. The bracket moves by primal and dual values alone, never by a
@@ -238,9 +242,11 @@ def search_target(solve, lo: float, hi: float, eps: float, kind: str, most: int
             break
         low = lower if lower > 0 else upper / 4
         tried = [low * (upper / low) ** (k / (lanes + 1)) for k in range(1, lanes + 1)]
-        if upper <= (1 + eps) * lower:
-            # what is left is to find a point, at a target with room to spare
-            tried, inner = [lower / (1 + eps / 2) if kind == "packing" else upper * (1 + eps / 2)], min(inner, eps / 3)
+        if (1 + eps / 4) * upper <= (1 + eps) * lower:
+            # what is left is to find a point: at a target that can be met, and whose points are near enough to close
+            tried, inner = [math.sqrt(lower * upper / (1 + eps)) if kind == "packing" else math.sqrt(upper * lower * (1 + eps))], min(inner, eps / 3)
+        elif upper <= (1 + eps) * lower:
+            inner = min(inner, eps / 3)  # little room: the middle of the bracket gives a near point, or a bound that makes room
         # the value found exceeds its target by up to the run's accuracy, so a narrow bracket needs half of it to close
         narrow = eps / 2 if upper <= (1 + 3 * eps) * lower else eps
         was = lower, upper
@@ -264,6 +270,8 @@ def search_target(solve, lo: float, hi: float, eps: float, kind: str, most: int
             break
         if (lower, upper) == was or upper > 0 and math.isclose(lower / upper, was[0] / was[1], rel_tol=5e-3):
             inner = min(inner, narrow) / 2
+            if inner < eps / MOST_ACCURACY:
+                break  # ITER_LIMIT: runs cost ever more
     done = closed()
     out = replace(best) if best else Outcome(Status.ITER_LIMIT, 0, [])
     out.status = Status.FEASIBLE if done else Status.ITER_LIMIT

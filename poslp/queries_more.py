@@ -12,7 +12,7 @@ from poslp.plans.shared import materialise
 from poslp.queries import query, with_graph
 from poslp.sources.graphs import GRAPH_SQL, GRAPHS, table, vertices
 
-for _name in ("run_times", "violation_curves", "strategy_table", "breakdown_table", "layout_table", "exactness", "accuracy_sweep", "scaling_table"):
+for _name in ("run_times", "speedup_summary", "product_speedups", "violation_curves", "strategy_table", "breakdown_table", "layout_table", "exactness", "accuracy_sweep", "scaling_table"):
     query(_name)(getattr(workloads, _name))
 
 

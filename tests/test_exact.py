@@ -9,8 +9,8 @@ from poslp.baselines.matching import double_cover_value
 from poslp.baselines.peel import peel_sequential
 from poslp.config import SolveConfig, Status
 from poslp.plans.problems import solve_local
-from poslp.sources import sinks
-from poslp.workloads import backoff_ablation, coordinate_search, four_problems
+from poslp.sources import sinks, synth
+from poslp.workloads import backoff_ablation, coordinate_search, four_problems, local_graph
 
 
 def _graph(rng, n, p):
@@ -76,3 +76,12 @@ def test_bucketed_join_has_no_exchange(spark, data):
     from poslp.queries_tools import sink_bucketed_join
 
     assert "Exchange" not in sink_bucketed_join(spark, data)._jdf.queryExecution().executedPlan().toString()
+
+
+@pytest.mark.parametrize("step", ["newton", "binary"])
+def test_a_bracket_that_degrees_close_still_gets_a_point(spark, step):
+    """On a lattice the degrees alone bound the matching to within 1 + eps, before any point is known."""
+    u, v, ids = local_graph(synth.grid(spark, 24, 24))
+    o = solve_local("matching", u, v, len(ids), SolveConfig(step=step, max_iter=400))
+    exact = double_cover_value(u, v, len(ids))
+    assert o.status == Status.FEASIBLE and o.best >= exact / 1.1 * (1 - 1e-9) and o.lower <= exact * (1 + 1e-9) <= o.upper * (1 + 2e-9)
