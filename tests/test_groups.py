@@ -4,10 +4,13 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from poslp.registry import queries
+from poslp.plans import shared
+from poslp.registry import oracle_sql, queries
 from poslp.sources import groups
 from poslp.sources.graphs import numbered
 
+SQL = oracle_sql()
+
 
 @pytest.mark.parametrize("users, spread", [(7, 1), (5000, 1), (5000, 10**12)])
 def test_pairs_and_degrees_equal_all_pairs_of_each_key(spark, users, spread):
@@ -45,3 +48,12 @@ def test_no_pair_is_joined_or_shuffled(spark, data):
     plan = numbered(spark, data, "user_cooccur")._jdf.queryExecution().executedPlan().toString()
     assert "Join" not in plan and plan.count("Exchange") == 1
     assert queries()["edges_user_cooccur"](spark, data).count() > 0
+
+
+def test_the_profile_holds_one_graph_on_disk_at_a_time(spark, data, same):
+    """Only one-row tables are left to read, and the session's setting is as it was."""
+    profile = queries()["graph_profile"](spark, data)
+    plan = profile._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in plan and "Join" not in plan
+    assert spark.conf.get(shared.CLEANUP, None) in (None, "true")
+    same(queries()["graph_profile"], SQL["graph_profile"])
