@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from poslp.llm.common import WORD, let, lines, materialise, table, words
+from poslp.llm.common import WHITE, WORD, let, lines, materialise, table
 
 #: Words of a language from which it has a reference of its own.
 MIN_REFERENCE = 2_000
@@ -52,6 +52,12 @@ def _without(text: str, pattern: str) -> Column:
     return F.regexp_replace(text, F.lit(pattern), F.lit(""))
 
 
+def split_words(text: Column) -> Column:
+    """The words of common.words, by one split in place of a match for each."""
+    bare = F.btrim(F.coalesce(text, F.lit("")), F.lit(WHITE))
+    return F.when(bare == "", F.array().cast("array<string>")).otherwise(F.split(bare, "[\\x20\\x09-\\x0D]+", -1))
+
+
 def _lost(longer: Column | str, shorter: Column | str) -> Column:
     return (F.length(longer) - F.length(shorter)).cast("long")
 
@@ -77,7 +83,7 @@ def with_counts(docs: DataFrame, text_col: str = "text") -> DataFrame:
     """Adds the base counts, _chars, _classes and _words. Each step is a projection of its own, so that the sorts of
     plain arrays run as generated code and nothing is worked out twice."""
     docs = docs.withColumn("_text", F.coalesce(F.col(text_col), F.lit("")))
-    docs = docs.withColumns({"_words": words(F.col("_text")), "_rest": _without("_text", "[a-z]+"), "_full": F.filter(lines(F.col("_text")), lambda x: x.rlike(WORD))})
+    docs = docs.withColumns({"_words": split_words(F.col("_text")), "_rest": _without("_text", "[a-z]+"), "_full": F.filter(lines(F.col("_text")), lambda x: x.rlike(WORD))})
     w = F.col("_words")
     windows = F.transform(F.sequence(F.lit(0), F.size(w) - 3), lambda i: F.xxhash64(F.get(w, i), F.get(w, i + 1), F.get(w, i + 2)))
     docs = docs.withColumns({"_hash": F.when(F.size(w) >= 3, windows).otherwise(F.array().cast("array<bigint>")), "_dense": _without("_rest", "[\\x20\\x09-\\x0D]+")})
@@ -102,7 +108,7 @@ def _lang(lang: Column) -> Column:
 
 def common_words(docs: DataFrame) -> DataFrame:
     """(_lang, _common, _usual): for each reference, its most frequent words and their counts, then all others' count."""
-    counts = docs.select(_lang(F.col("lang")).alias("_lang"), F.explode(words(F.col("text"))).alias("_w")).groupBy("_lang", "_w").agg(F.count(F.lit(1)).alias("_n"))
+    counts = docs.select(_lang(F.col("lang")).alias("_lang"), F.explode(split_words(F.col("text"))).alias("_w")).groupBy("_lang", "_w").agg(F.count(F.lit(1)).alias("_n"))
     counts = materialise(counts, "word-counts")
     total = counts.groupBy("_lang").agg(F.sum("_n").alias("_all"))
     named = materialise(total.where(F.col("_all") >= MIN_REFERENCE), "languages")
@@ -123,7 +129,9 @@ def common_words(docs: DataFrame) -> DataFrame:
 def with_tally(docs: DataFrame) -> DataFrame:
     """Adds _tally: how often each word of the array _common stands in _words, then how many words are none of them."""
     common = F.col("_common")
-    docs = docs.withColumn("_rank", F.transform("_words", lambda w: F.coalesce(F.nullif(F.array_position(common, w), F.lit(0)), F.lit(COMMON + 1)).cast("int")))
+    longest = F.array_max(F.transform(common, lambda w: F.octet_length(w)))
+    short = let(longest, lambda most: F.filter("_words", lambda w: F.octet_length(w) <= most))  # longer words are none of them
+    docs = docs.withColumn("_rank", F.filter(F.transform(short, lambda w: F.array_position(common, w).cast("int")), lambda r: r > 0))
     docs = docs.withColumn("_rank", F.sort_array("_rank"))
     rank = F.col("_rank")
     ends = F.transform("_rank", lambda x, k: F.when(F.coalesce(F.get(rank, k + 1) != x, F.lit(True)), k + 1))
@@ -131,7 +139,8 @@ def with_tally(docs: DataFrame) -> DataFrame:
     end = F.col("_ends")
     runs = F.transform("_ends", lambda e, k: F.struct(F.get(rank, e - 1), (e - F.coalesce(F.get(end, k - 1), F.lit(0))).cast("long")))
     docs = docs.withColumn("_runs", F.map_from_entries(runs))
-    return docs.withColumn("_tally", F.array(*[F.coalesce(F.try_element_at("_runs", F.lit(i)), F.lit(0).cast("long")) for i in range(1, COMMON + 2)])).drop("_rank", "_ends", "_runs")
+    of = [F.coalesce(F.try_element_at("_runs", F.lit(i)), F.lit(0).cast("long")) for i in range(1, COMMON + 1)]
+    return docs.withColumn("_tally", F.array(*of, (F.size("_words") - F.size("_rank")).cast("long"))).drop("_rank", "_ends", "_runs")
 
 
 def js_distance(p: Column, q: Column) -> Column:
